@@ -8,6 +8,7 @@ import uuid
 from urllib.parse import urlparse
 
 import numpy as np
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -95,10 +96,10 @@ def mix(h: np.ndarray) -> np.ndarray:
     return h
 
 
-def word_spans(raw: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Start and end of each word in a byte array."""
+def word_spans(raw: np.ndarray, between: np.ndarray = _SPACE) -> tuple[np.ndarray, np.ndarray]:
+    """Start and end of each word in a byte array; ``between`` marks the bytes that part words."""
     gap = np.ones(len(raw) + 2, dtype=bool)
-    np.take(_SPACE, raw, out=gap[1:-1])
+    gap[1:-1] = between[raw]
     edge = np.flatnonzero(gap[1:] != gap[:-1])
     return edge[0::2], edge[1::2]
 
@@ -108,19 +109,43 @@ def lowered(text: bytes) -> np.ndarray:
     return _LOWER[np.frombuffer(text, dtype=np.uint8)]
 
 
+#: Longest stretch of bytes hashed at once; it bounds memory for texts of any length.
+STRETCH = 1 << 20
+
+
 def word_hashes(raw: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
     """A 64-bit hash of each word: a polynomial over its bytes, scrambled.
 
     Equal words have equal hashes wherever they stand; the sum over each word comes
     from one running sum, rebased by the inverse power at the word's start.
     """
-    if not len(starts):
-        return np.zeros(0, dtype=np.uint64)
-    power, inverse = _powers(len(raw) + 1)
-    run = np.zeros(len(raw) + 1, dtype=np.uint64)
-    np.cumsum((raw.astype(np.uint64) + np.uint64(1)) * power[: len(raw)], out=run[1:])
-    h = (run[ends] - run[starts]) * inverse[starts]
-    return mix(h + (ends - starts).astype(np.uint64) * np.uint64(0xD6E8FEB86659FD93))
+    out = np.zeros(len(starts), dtype=np.uint64)
+    at = 0
+    while at < len(starts):
+        origin = starts[at]
+        to = max(at + 1, int(np.searchsorted(ends, origin + STRETCH, side="right")))
+        if ends[at] - origin > STRETCH:
+            out[at] = _long_word(raw[origin : ends[at]])
+        else:
+            part = raw[origin : ends[to - 1]]
+            power, inverse = _powers(len(part) + 1)
+            run = np.zeros(len(part) + 1, dtype=np.uint64)
+            np.cumsum((part.astype(np.uint64) + np.uint64(1)) * power[: len(part)], out=run[1:])
+            s, e = starts[at:to] - origin, ends[at:to] - origin
+            out[at:to] = (run[e] - run[s]) * inverse[s]
+        at = to
+    return mix(out + (ends - starts).astype(np.uint64) * np.uint64(0xD6E8FEB86659FD93))
+
+
+def _long_word(raw: np.ndarray) -> np.uint64:
+    total, scale = 0, 1
+    for at in range(0, len(raw), STRETCH):
+        part = raw[at : at + STRETCH]
+        power, _ = _powers(STRETCH + 1)
+        own = int(np.sum((part.astype(np.uint64) + np.uint64(1)) * power[: len(part)], dtype=np.uint64))
+        total = (total + own * scale) & (1 << 64) - 1
+        scale = scale * pow(int(_BASE), STRETCH, 1 << 64) & (1 << 64) - 1
+    return np.uint64(total)
 
 
 def joined(hashes: list[np.ndarray]) -> np.ndarray:
@@ -147,11 +172,27 @@ def blocks(batches, text: str = "text", limit: int = 4 << 20):
     for batch in batches:
         if not batch.num_rows:
             continue
-        import pyarrow.compute as pc
-
         sizes = pc.fill_null(pc.binary_length(batch.column(batch.schema.get_field_index(text))), 0).to_numpy(zero_copy_only=False)
         group = np.cumsum(sizes.astype(np.int64) + 1) // limit
         cuts = np.flatnonzero(np.diff(group)) + 1
         for a, b in zip([0, *cuts], [*cuts, batch.num_rows], strict=True):
             if b > a:
                 yield batch.slice(a, b - a)
+
+
+def settle_table(df: DataFrame) -> DataFrame:
+    """Write ``df`` as Parquet to the shared folder and read it again; smaller on disk than a checkpoint."""
+    path = shared_dir(df.sparkSession)
+    df.write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
+def join_unique(left: DataFrame, right: DataFrame, keys: list[str], spread_by: list[str], salts: int = 16) -> DataFrame:
+    """Inner join to rows that are unique by ``keys``, where one key may hold a large share of ``left``.
+
+    The left rows of a key go to ``salts`` places by a hash of ``spread_by``; the right rows,
+    far fewer, are repeated for each.
+    """
+    place = F.pmod(F.xxhash64(*spread_by), F.lit(salts)).cast("int")
+    many = right.withColumn("__salt", F.explode(F.array(*(F.lit(s) for s in range(salts)))))
+    return left.withColumn("__salt", place).join(many, [*keys, "__salt"]).drop("__salt")
