@@ -62,6 +62,8 @@ def encode_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "t
     table gives none.  There is no shuffle.
     """
     path = vocabulary or default_vocabulary()
+    names = ["n_tokens", "ids_sha256", "decoded_sha256"] if digests else ["ids", "decoded", "n_tokens"]
+    keep = tuple(k for k in keep if k not in (id_col, *names))  # an output's name goes to the output
     base = docs.select(F.col(id_col).alias("__id"), F.col(text_col).alias("__text"), *keep)
     kinds = {f.name: f.dataType.simpleString() for f in base.schema.fields}
 
@@ -97,7 +99,6 @@ def encode_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "t
             kept = [batch.column(i) for i in range(batch.num_columns) if i != 1]
             yield pa.RecordBatch.from_arrays([*kept, *(pa.array(c, k) for c, k in zip(columns, kinds_out, strict=True))], names=["__id", *keep, *names])
 
-    names = ["n_tokens", "ids_sha256", "decoded_sha256"] if digests else ["ids", "decoded", "n_tokens"]
     types = ["long", "string", "string"] if digests else ["array<int>", "string", "long"]
     schema = ", ".join(f"`{n}` {k}" for n, k in [("__id", kinds["__id"]), *((k, kinds[k]) for k in keep), *zip(names, types, strict=True)])
     out = base.mapInArrow(run, schema)

@@ -167,12 +167,12 @@ def document_words(texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
     return word_hashes(raw, starts, ends), np.searchsorted(starts, at)
 
 
-def blocks(batches, text: str = "text", limit: int = 4 << 20):
+def blocks(batches, text: str | int = "text", limit: int = 4 << 20):
     """Split Arrow batches into runs of rows with about ``limit`` bytes of text (one row at least)."""
     for batch in batches:
         if not batch.num_rows:
             continue
-        sizes = pc.fill_null(pc.binary_length(batch.column(batch.schema.get_field_index(text))), 0).to_numpy(zero_copy_only=False)
+        sizes = pc.fill_null(pc.binary_length(batch.column(text if isinstance(text, int) else batch.schema.get_field_index(text))), 0).to_numpy(zero_copy_only=False)
         group = np.cumsum(sizes.astype(np.int64) + 1) // limit
         cuts = np.flatnonzero(np.diff(group)) + 1
         for a, b in zip([0, *cuts], [*cuts, batch.num_rows], strict=True):

@@ -246,7 +246,25 @@ def _searcher(seeds: Items, rules: Rules, item_kind):
     return run
 
 
-def clean(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text", rules: Rules = Rules()) -> DataFrame:
-    """The documents that hold no benchmark item, with all their columns (rows with a null id are judged alike)."""
-    bad = contaminated(docs, benchmark, id_col, text_col, rules=rules).select(F.col(id_col).alias("__bad")).distinct()
-    return docs.join(bad, docs[id_col].eqNullSafe(bad["__bad"]), "left_anti")
+def clean(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text: str = "text", rules: Rules = Rules()) -> DataFrame:
+    """The documents that hold no benchmark item, with all their columns; each row is judged by its own text, without a shuffle."""
+    at = docs.columns.index(text_col)
+    for rows in _blocks(benchmark, item_col, item_text, rules):
+        items = Items.of(rows, rules)
+        if items.ids:
+            counts, documents = _document_counts(docs, items, text_col, rules.n)
+            docs = docs.mapInArrow(_sieve(rare_seeds(items, counts, documents, rules), rules, at), docs.schema)
+    return docs
+
+
+def _sieve(seeds: Items, rules: Rules, column: int):
+    def run(batches):
+        import pyarrow as pa
+
+        marks = seeds.sieve()
+        for part in blocks(batches, column):
+            words, at = words_of(part.column(column).to_pylist())
+            free = [not search(words[at[i] : at[i + 1]], seeds, marks, rules) for i in range(part.num_rows)]
+            yield part.filter(pa.array(free))
+
+    return run

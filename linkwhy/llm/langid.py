@@ -174,13 +174,19 @@ def fit(docs: DataFrame, learnable: Column, id_col: str = "doc_id", text_col: st
 
 
 def predict(docs: DataFrame, model: ByteNet | None, id_col: str = "doc_id", text_col: str = "text", keep: tuple[str, ...] = ()) -> DataFrame:
-    """(id, *keep, lang_pred, score) for every whole text.
+    """(id, *keep, lang_pred, score) for every whole text; a column in ``keep`` with an output's name is left out.
 
     All windows of a text are judged; their probabilities are averaged with the number of
     letters as weight.  Null, empty and letterless texts give ``und`` and 0, as does every
     text when there was nothing to learn from.  Repeated rows each give a row; an empty
     table gives none.  No shuffle.
     """
+    out = judged(docs, model, id_col, text_col, tuple(k for k in keep if k not in (id_col, "lang_pred", "score")))
+    return out.withColumnsRenamed({"__id": id_col, "__lang": "lang_pred", "__score": "score"})
+
+
+def judged(docs: DataFrame, model: ByteNet | None, id_col: str, text_col: str, keep: tuple[str, ...]) -> DataFrame:
+    """As ``predict``, with columns __id, *keep, __lang and __score."""
     base = docs.select(F.col(id_col).alias("__id"), F.col(text_col).alias("__text"), *keep)
     kinds = {f.name: f.dataType.simpleString() for f in base.schema.fields}
 
@@ -219,7 +225,15 @@ def predict(docs: DataFrame, model: ByteNet | None, id_col: str = "doc_id", text
                     langs, scores, some, size = langs + a, scores + b, [], 0
             a, b = judge(some)
             kept = [batch.column(i) for i in range(batch.num_columns) if i != 1]
-            yield pa.RecordBatch.from_arrays([*kept, pa.array(langs + a, pa.string()), pa.array(scores + b, pa.float64())], names=["__id", *keep, "lang_pred", "score"])
+            yield pa.RecordBatch.from_arrays([*kept, pa.array(langs + a, pa.string()), pa.array(scores + b, pa.float64())], names=["__id", *keep, "__lang", "__score"])
+
+    schema = ", ".join(f"`{n}` {kinds[n]}" for n in ["__id", *keep]) + ", __lang string, __score double"
+    return base.mapInArrow(run, schema)
+
 
-    schema = ", ".join(f"`{n}` {kinds[n]}" for n in ["__id", *keep]) + ", lang_pred string, score double"
-    return base.mapInArrow(run, schema).select(F.col("__id").alias(id_col), *keep, "lang_pred", "score")
+def accepted(docs: DataFrame, model: ByteNet | None, id_col: str = "doc_id", text_col: str = "text", least: float = 0.4) -> DataFrame:
+    """The documents with a language: not ``und``, and judged with a score of at least ``least``; columns stay."""
+    if model is None:
+        return docs
+    out = judged(docs, model, id_col, text_col, tuple(docs.columns))
+    return out.filter((F.col("__lang") != UNKNOWN) & (F.col("__score") >= least)).select(*docs.columns)

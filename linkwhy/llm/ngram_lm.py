@@ -353,9 +353,10 @@ def score(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str =
     probability 1 / (0 + 1).  Repeated rows each give a row; an empty table gives none.  No
     shuffle: the workers map the model files.
     """
+    names = ["n_tokens", "n_known", "train_tokens", "base_score", "score"]
+    keep = tuple(k for k in keep if k not in (id_col, "perplexity", *names))  # an output's name goes to the output
     base = docs.select(F.col(id_col).alias("__id"), F.col(text_col).alias("__text"), *keep)
     kinds = {f.name: f.dataType.simpleString() for f in base.schema.fields}
-    names = ["n_tokens", "n_known", "train_tokens", "base_score", "score"]
 
     def run(batches):
         import pyarrow as pa

@@ -7,7 +7,6 @@ from pyspark.sql import functions as F
 
 from .common import settle
 from .components import connected_components
-from .exact_dedup import salt_of
 
 SALTS = 16
 #: Buckets up to this size are compared pair by pair; larger ones by shared centres (see ``links``).
@@ -38,9 +37,9 @@ def fingerprint(text: str | None, shingle: int = 3) -> int:
     return int.from_bytes(np.packbits(2 * counts > n).tobytes(), "big")
 
 
-def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = 3) -> DataFrame:
-    """(id, fp): the fingerprint as a signed long; null and empty texts have zero."""
-    base = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
+def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = 3, keep: str | None = None) -> DataFrame:
+    """(id, th, fp): the fingerprint as a signed long; null and empty texts have zero.  th: the long column ``keep``."""
+    base = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"), (F.col(keep) if keep else F.lit(0).cast("long")).alias("th"))
 
     def run(batches):
         import numpy as np
@@ -48,9 +47,9 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
 
         for batch in batches:
             found = np.fromiter((fingerprint(t.as_py(), shingle) for t in batch.column(1)), dtype=np.uint64, count=batch.num_rows)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(found.view(np.int64))], names=["id", "fp"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array(found.view(np.int64))], names=["id", "th", "fp"])
 
-    return base.mapInArrow(run, f"id {base.schema['id'].dataType.simpleString()}, fp long")
+    return base.mapInArrow(run, f"id {base.schema['id'].dataType.simpleString()}, th long, fp long")
 
 
 def covering_masks(radius: int, bits: int = 64) -> list[int]:
@@ -115,6 +114,19 @@ def _by_centres(many: DataFrame, masks: list[int], radius: int) -> DataFrame:
     return met.join(founders, ["t", "centre"]).filter("fp <> b").select(F.col("fp").alias("a"), "b")
 
 
+def _named(docs: DataFrame, id_col: str, text_col: str, shingle: int, radius: int, salts: int) -> DataFrame:
+    """(id, th, fp, root, component_id): each document with the smallest fingerprint and id of its component."""
+    base = docs.select(F.col(id_col).alias("__id"), F.col(text_col).alias("__text"))
+    prints = fingerprints(base.withColumn("__th", F.xxhash64("__text")), "__id", "__text", shingle, keep="__th")
+    prints = settle(prints.withColumn("salt", F.pmod(F.xxhash64("id", "th"), F.lit(salts)).cast("int")))
+    nodes = settle(prints.groupBy("fp", "salt").agg(F.min("id").alias("least")).groupBy("fp").agg(F.min("least").alias("least"), F.collect_set("salt").alias("salts")))
+    roots = connected_components(links(nodes.select("fp"), radius))
+    placed = nodes.join(roots, nodes["fp"] == roots["node"], "left").select("fp", "least", "salts", F.coalesce("root", "fp").alias("root"))
+    ids = placed.groupBy("root").agg(F.min("least").alias("component_id"))
+    named = placed.join(ids, "root").select("fp", "root", "component_id", F.explode("salts").alias("salt"))
+    return prints.join(named, ["fp", "salt"])
+
+
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = 3, radius: int = 3, salts: int = SALTS) -> DataFrame:
     """One row per document: id, fingerprint (16 hex digits), component_id (smallest id reachable).
 
@@ -124,14 +136,25 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     copies cost nothing in the search; a fingerprint of a third of all rows is joined back
     in salted parts.  The covering masks lose no pair within the radius.
     """
-    prints = settle(fingerprints(docs, id_col, text_col, shingle).withColumn("salt", salt_of("id", salts)))
-    nodes = settle(prints.groupBy("fp", "salt").agg(F.min("id").alias("least")).groupBy("fp").agg(F.min("least").alias("least"), F.collect_set("salt").alias("salts")))
-    roots = connected_components(links(nodes.select("fp"), radius))
-    placed = nodes.join(roots, nodes["fp"] == roots["node"], "left").select("fp", "least", "salts", F.coalesce("root", "fp").alias("root"))
-    ids = placed.groupBy("root").agg(F.min("least").alias("component_id"))
-    named = placed.join(ids, "root").select("fp", "component_id", F.explode("salts").alias("salt"))
-    return prints.join(named, ["fp", "salt"]).select(
+    return _named(docs, id_col, text_col, shingle, radius, salts).select(
         F.col("id").alias(id_col),
         F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"),
         "component_id",
     )
+
+
+def one_of_each(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = 3, radius: int = 3, salts: int = SALTS) -> DataFrame:
+    """One document of each component, the one with the smallest id (null ids last), all columns kept.
+
+    Documents without words form one component like others.  Rows repeated with one id and
+    text are one document, of which one row stays.
+    """
+    named = settle(_named(docs, id_col, text_col, shingle, radius, salts).select("id", "th", "root"))
+    first = named.groupBy("root").agg(F.min(F.struct(F.col("id").isNull().alias("no"), "id", "th")).alias("k"))
+    kept = first.select(F.col("k.id").alias("__id"), F.col("k.th").alias("__th"))
+    out = docs.withColumn("__h", F.xxhash64(text_col))
+    out = out.join(kept, out[id_col].eqNullSafe(kept["__id"]) & (out["__h"] == kept["__th"]), "left_semi")
+    repeated = named.groupBy("id", "th").agg(F.count(F.lit(1)).alias("n")).filter("n > 1")
+    if not repeated.isEmpty():
+        out = out.dropDuplicates([id_col, "__h"])
+    return out.select(*docs.columns)
