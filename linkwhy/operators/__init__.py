@@ -1 +1 @@
-
+"""Distributed operators: paths, unions, matching, measures, ranking."""

@@ -1 +1 @@
-
+"""Compositions of operators: engine, presets, workloads, work counters."""

@@ -1 +1 @@
-
+"""Readers, knowledge graph profiles and the store."""

@@ -1 +1 @@
-
+"""Streams around the engine: edges, counts, sessions, requests."""
