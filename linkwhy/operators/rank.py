@@ -10,13 +10,13 @@ from ..sources.kb import KnowledgeGraph
 from . import measures as M
 from .union import Explanations, combine, combine_local
 
-TIES = [F.col("n_nodes").asc, F.col("n_edges").asc, F.col("pattern_key").asc]
+TIES = ("n_nodes", "n_edges", "pattern_key")
 
 
 def _order(columns: list[tuple[str, str]]):
     """Sort keys of a total order: the measures, then fewer nodes, fewer edges, smaller key."""
     own = [F.col(c).desc_nulls_last() if way == "desc" else F.col(c).asc_nulls_last() for c, way in columns]
-    return own + [t() for t in TIES]
+    return own + [F.col(t).asc() for t in TIES]
 
 
 def keep_topk(scored: DataFrame, k: int | None, columns: list[tuple[str, str]]) -> DataFrame:
@@ -79,7 +79,7 @@ def bounded_position(kb: KnowledgeGraph, pairs: DataFrame, expl: Explanations, k
     stats = stats or RunStats()
     own = M.AGGREGATES[agg](expl.instances).join(pairs.select("pair_id", "start"), "pair_id")
     own = settle(_with_shape(expl.patterns, own))
-    order = Window.partitionBy("pair_id").orderBy(*[t() for t in TIES])
+    order = Window.partitionBy("pair_id").orderBy(*TIES)
     todo = settle(own.withColumn("wave", F.floor((F.row_number().over(order) - 1) / F.lit(wave)).cast("int")))
     waves = (todo.agg(F.max("wave")).first()[0] or 0) + 1 if not todo.isEmpty() else 0
     starts = None if scope == "local" else settle(M.sample_starts(kb, sample, seed, kind))
