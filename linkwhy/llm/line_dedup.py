@@ -19,6 +19,9 @@ from .common import join_unique, settle_table
 
 FIELD = "<*>"
 #: Records end behind a line feed, and behind a full stop and a space.
+ENDS = ("\n", ". ", "! ", "? ")
+#: Set behind each end; a text that has it itself is cut by pattern, which is slower.
+CUT = "\x01"
 RECORD_END = r"(?<=\n|[.!?] )"
 #: Leaves worth a second look are marked in so many slots, which bounds what is broadcast.
 SLOTS = 1 << 20
@@ -42,26 +45,40 @@ class Rules:
     min_line_docs: int = 20
 
 
+def _marked(text: Column) -> Column:
+    for end in ENDS:
+        text = F.replace(text, F.lit(end), F.lit(end + CUT))
+    return text
+
+
 def record_list(text: Column) -> Column:
     """The records of a text; joined they give the text back."""
-    return F.split(text, RECORD_END)
+    return F.when(F.contains(text, F.lit(CUT)), F.split(text, RECORD_END)).otherwise(F.split(_marked(text), CUT))
+
 
+def record_count(text: Column) -> Column:
+    """The number of records without cutting them out."""
+    return F.when(F.contains(text, F.lit(CUT)), F.size(F.split(text, RECORD_END))).otherwise(F.octet_length(_marked(text)) - F.octet_length(text) + 1)
 
-def tokens_of(record: Column) -> Column:
-    """The tokens of a record, those with a digit as variable fields."""
-    masked = F.when(record.rlike("[0-9]"), F.regexp_replace(record, r"[^ ]*[0-9][^ ]*", FIELD)).otherwise(record)
-    return F.split(F.rtrim(masked), " ")
+
+def masked(record: Column) -> Column:
+    """A record with its tokens that have a digit as variable fields, without trailing white space."""
+    return F.when(record.rlike("[0-9]"), F.regexp_replace(record, r"[^ \n]*[0-9][^ \n]*", FIELD)).otherwise(record)
 
 
 def _records(docs: DataFrame, id_col: str, text_col: str, rules: Rules) -> DataFrame:
-    """(id, th, i, line, n, leaf, tpl, tokens): a row for each record long enough to recur."""
-    base = docs.select(F.col(id_col).alias("id"), F.xxhash64(text_col).alias("th"), F.posexplode(record_list(F.col(text_col))).alias("i", "record"))
-    base = base.filter(F.length("record") > 2 * rules.min_line_tokens)
-    parsed = base.select("id", "th", "i", F.col("record").endswith("\n").alias("line"), tokens_of(F.regexp_replace("record", r"\n$", "")).alias("tokens"))
-    n = F.size("tokens")
-    return parsed.filter((n >= rules.min_tokens) | (F.col("line") & (n >= rules.min_line_tokens))).select(
-        "id", "th", "i", "line", n.alias("n"), F.xxhash64(n, F.slice("tokens", 1, rules.depth)).alias("leaf"), F.xxhash64("tokens").alias("tpl"), "tokens"
-    )
+    """(id, th, i, line, n, leaf, tpl, shape): a row for each record long enough to recur.
+
+    The number of tokens, the leaf and the template are found on the string; no record is
+    cut into tokens here.
+    """
+    lists = docs.select(F.col(id_col).alias("id"), F.xxhash64(text_col).alias("th"), record_list(F.col(text_col)).alias("records"))
+    each = lists.select("id", "th", F.posexplode("records").alias("i", "record"))
+    each = each.filter(F.octet_length("record") > 2 * rules.min_line_tokens)
+    each = each.select("id", "th", "i", F.col("record").endswith("\n").alias("line"), F.rtrim(masked(F.col("record")), F.lit(" \n")).alias("shape"))
+    n = F.octet_length("shape") - F.octet_length(F.replace("shape", F.lit(" "), F.lit(""))) + 1
+    each = each.withColumn("n", n).filter((F.col("n") >= rules.min_tokens) | (F.col("line") & (F.col("n") >= rules.min_line_tokens)))
+    return each.select("id", "th", "i", "line", "n", F.xxhash64("n", F.substring_index("shape", " ", rules.depth)).alias("leaf"), F.xxhash64("shape").alias("tpl"), "shape")
 
 
 def _texts(df: DataFrame, keys: list[str], *more: Column) -> DataFrame:
@@ -73,7 +90,7 @@ def _texts(df: DataFrame, keys: list[str], *more: Column) -> DataFrame:
 def recurring(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", rules: Rules = Rules()) -> DataFrame:
     """(id, th, i) of the records to drop; see ``drop_recurring``."""
     parsed = _records(docs, id_col, text_col, rules)
-    thin = settle_table(parsed.drop("tokens"))
+    thin = settle_table(parsed.drop("shape"))
 
     # Templates whose records are equal but for fields with digits.
     equal = settle_table(_texts(thin, ["tpl"], F.max("leaf").alias("leaf"), F.max("line").alias("line"), F.max("n").alias("n")).filter("texts > 1 or n >= %d" % rules.min_tokens))
@@ -102,9 +119,9 @@ def _fielded(parsed: DataFrame, leaves: DataFrame, open_tpls: DataFrame, rules:
     """
     slot = F.pmod(F.col("leaf"), F.lit(SLOTS)).alias("slot")
     slots = leaves.select(slot).distinct()
-    near = parsed.filter(F.col("n") >= rules.min_tokens).select("leaf", "tpl", "th", "tokens", slot).join(F.broadcast(slots), "slot", "left_semi")
-    own = settle_table(near.join(open_tpls, "tpl", "left_semi").select("leaf", "tpl", "th", "tokens").dropDuplicates(["tpl", "th"]))
-    tokens = own.select("leaf", "tpl", "th", F.size("tokens").alias("n"), F.posexplode("tokens").alias("at", "token"))
+    near = parsed.filter(F.col("n") >= rules.min_tokens).select("leaf", "tpl", "th", "n", "shape", slot).join(F.broadcast(slots), "slot", "left_semi")
+    own = settle_table(join_unique(near, open_tpls, ["tpl"], ["th"]).select("leaf", "tpl", "th", "n", "shape").dropDuplicates(["tpl", "th"]))
+    tokens = own.select("leaf", "tpl", "th", "n", F.posexplode(F.split("shape", " ")).alias("at", "token"))
     common = tokens.groupBy("leaf", "at", "token").agg(F.count(F.lit(1)).alias("c")).filter((F.col("c") >= rules.min_docs) & (F.col("token") != FIELD)).drop("c")
     kept = join_unique(tokens, common, ["leaf", "at", "token"], ["tpl", "th"])
     shapes = kept.groupBy("leaf", "tpl", "th").agg(F.max("n").alias("n"), F.sort_array(F.collect_list(F.struct("at", "token"))).alias("constants"))
@@ -131,7 +148,7 @@ def drop_recurring(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     if report:
         return joined.select(
             F.col(id_col),
-            F.coalesce(F.size(record_list(F.col(text_col))), F.lit(0)).alias("n_records"),
+            F.coalesce(record_count(F.col(text_col)), F.lit(0)).alias("n_records"),
             F.coalesce(F.size("__gone"), F.lit(0)).alias("n_dropped"),
             text.alias("text"),
         )
