@@ -306,6 +306,8 @@ class Scorer:
                 continue
             at = np.searchsorted(own, keys[rows])
             same = own[np.minimum(at, len(own) - 1)] == keys[rows]
+            if not same.any():
+                continue
             col = 0
             for v in values:
                 found = self._map(name, v)
