@@ -48,7 +48,7 @@ def toy_edges():
 def test_path_strategies_agree(toy, semantics, counts):
     kb, pairs, _ = toy
     sets = []
-    for strategy, batch in (("forward", None), ("bidirectional", None), ("activation", None), ("activation", 3), ("label_first", None)):
+    for strategy, batch in (("forward", None), ("bidirectional", None), ("activation", None), ("activation", 1000), ("label_first", None)):
         rows = paths(kb, pairs, 4, strategy, semantics, batch).collect()
         own = [(r.pair_id, tuple(r.nodes), tuple(r.sig)) for r in rows]
         assert len(own) == len(set(own))
