@@ -89,8 +89,8 @@ def _texts(df: DataFrame, keys: list[str], *more: Column) -> DataFrame:
 
 def recurring(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", rules: Rules = Rules()) -> DataFrame:
     """(id, th, i) of the records to drop; see ``drop_recurring``."""
-    parsed = _records(docs, id_col, text_col, rules)
-    thin = settle_table(parsed.drop("shape"))
+    # The shapes are kept beside the hashes, so that a second look need not parse the texts again.
+    thin = settle_table(_records(docs, id_col, text_col, rules).withColumn("shape", F.when(F.col("n") >= rules.min_tokens, F.col("shape"))))
 
     # Templates whose records are equal but for fields with digits.
     equal = settle_table(_texts(thin, ["tpl"], F.max("leaf").alias("leaf"), F.max("line").alias("line"), F.max("n").alias("n")).filter("texts > 1 or n >= %d" % rules.min_tokens))
@@ -102,7 +102,7 @@ def recurring(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", r
     rest = equal.filter(long & ~recurs)
     leaves = settle_table(rest.groupBy("leaf").agg(F.sum("texts").alias("reach"), F.count(F.lit(1)).alias("kinds")).filter((F.col("reach") >= rules.min_docs) & (F.col("kinds") > 1)).select("leaf"))
     open_tpls = rest.join(leaves, "leaf", "left_semi").select("tpl")
-    loose = _fielded(parsed, leaves, open_tpls, rules)
+    loose = _fielded(thin, leaves, open_tpls, rules)
 
     named = settle_table(plain.unionByName(loose))
     hits = settle_table(join_unique(thin.select("id", "th", "i", "tpl"), named, ["tpl"], ["id", "i"]).drop("tpl"))
@@ -111,15 +111,15 @@ def recurring(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", r
     return behind.filter(~(F.col("first.id").eqNullSafe(F.col("id")) & (F.col("first.i") == F.col("i")))).select("id", "th", "i")
 
 
-def _fielded(parsed: DataFrame, leaves: DataFrame, open_tpls: DataFrame, rules: Rules) -> DataFrame:
+def _fielded(thin: DataFrame, leaves: DataFrame, open_tpls: DataFrame, rules: Rules) -> DataFrame:
     """(tpl, template) for records of open leaves whose rare tokens are variable fields, where the result recurs.
 
-    The records are read once more; a table of occupied slots, bounded by ``SLOTS``, keeps
-    most of those of other leaves from the shuffle.
+    A table of occupied slots, bounded by ``SLOTS``, keeps most records of other leaves from
+    the shuffle.
     """
     slot = F.pmod(F.col("leaf"), F.lit(SLOTS)).alias("slot")
     slots = leaves.select(slot).distinct()
-    near = parsed.filter(F.col("n") >= rules.min_tokens).select("leaf", "tpl", "th", "n", "shape", slot).join(F.broadcast(slots), "slot", "left_semi")
+    near = thin.filter(F.col("n") >= rules.min_tokens).select("leaf", "tpl", "th", "n", "shape", slot).join(F.broadcast(slots), "slot", "left_semi")
     own = settle_table(join_unique(near, open_tpls, ["tpl"], ["th"]).select("leaf", "tpl", "th", "n", "shape").dropDuplicates(["tpl", "th"]))
     tokens = own.select("leaf", "tpl", "th", "n", F.posexplode(F.split("shape", " ")).alias("at", "token"))
     common = tokens.groupBy("leaf", "at", "token").agg(F.count(F.lit(1)).alias("c")).filter((F.col("c") >= rules.min_docs) & (F.col("token") != FIELD)).drop("c")
