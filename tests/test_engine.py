@@ -157,7 +157,7 @@ def test_frontier_does_less_work(toy):
 def test_bounded_position_equals_full(toy, expl):
     kb, pairs, _ = toy
     full = sorted(map(tuple, R.rank_full(kb, pairs, expl, "local_position", 4).collect()))
-    assert sorted(map(tuple, R.bounded_position(kb, pairs, expl, 4, wave=5).collect())) == full
+    assert sorted(map(tuple, R.bounded_position(kb, pairs, expl, 4, wave=20).collect())) == full
 
 
 def test_lazy_combination_equals_eager(toy, expl):
