@@ -38,7 +38,7 @@ def match(kb: KnowledgeGraph, patterns: DataFrame, bind: str = "pair", at: DataF
     if on:
         rows = at.select(*keys, "start", *(["end"] if bind == "pair" else [])).join(asked, on)
     else:  # only starts that have an edge for the first step of a pattern
-        first = asked.withColumns({"rel": F.element_at("plan", 1)["rel"], "dir": F.element_at("plan", 1)["dir"]})
+        first = asked.withColumns({"rel": F.try_element_at("plan", F.lit(1))["rel"], "dir": F.try_element_at("plan", F.lit(1))["dir"]})
         doors = kb.steps.select(F.col("u").alias("start"), "rel", "dir").distinct()
         doors = doors if at is None else at.select(*keys, "start", *(["end"] if bind == "pair" else [])).join(doors, "start")
         rows = doors.join(first, ["rel", "dir"])
@@ -53,10 +53,10 @@ def match(kb: KnowledgeGraph, patterns: DataFrame, bind: str = "pair", at: DataF
     for i in range(deepest):
         finished = rows.filter(F.size("plan") == i)
         done = finished if done is None else done.unionByName(finished)
-        step = F.element_at("plan", i + 1)
-        ready = rows.filter(F.size("plan") > i).withColumns({"u": F.element_at("at", step["origin"] + 1), "rel": step["rel"], "dir": step["dir"], "to": step["target"]})
+        step = F.try_element_at("plan", F.lit(i + 1))
+        ready = rows.filter(F.size("plan") > i).withColumns({"u": F.try_element_at("at", step["origin"] + 1), "rel": step["rel"], "dir": step["dir"], "to": step["target"]})
         out = ready.join(steps, ["u", "rel", "dir"])
-        held = F.element_at("at", F.col("to") + 1)
+        held = F.try_element_at("at", F.col("to") + 1)
         fresh = held.isNull()
         ok = (held == F.col("v")) | (fresh & _free(semantics))
         if slices:
@@ -66,7 +66,7 @@ def match(kb: KnowledgeGraph, patterns: DataFrame, bind: str = "pair", at: DataF
         out = out.filter(ok)
         rows = out.select(*keys, "pattern_key", "plan", F.transform("at", lambda x, k: F.when(k == F.col("to"), F.col("v")).otherwise(x)).alias("at"))
     done = rows if done is None else done.unionByName(rows)
-    whole = done.select(*keys, "pattern_key", F.element_at("at", 1).alias("start"), F.element_at("at", 2).alias("end"), F.slice("at", 3, 1 << 20).alias("binding"))
+    whole = done.select(*keys, "pattern_key", F.try_element_at("at", F.lit(1)).alias("start"), F.try_element_at("at", F.lit(2)).alias("end"), F.slice("at", 3, 1 << 20).alias("binding"))
     if semantics == "homomorphic":
         whole = whole.filter(~F.array_contains("binding", F.col("end")))
     return whole
@@ -81,7 +81,7 @@ def _free(semantics: str):
     if semantics == "simple":
         return ~seen
     if semantics == "homomorphic":
-        return (F.col("v") != F.element_at("at", 1)) & ~F.coalesce(F.element_at("at", 2) == F.col("v"), F.lit(False))
+        return (F.col("v") != F.try_element_at("at", F.lit(1))) & ~F.coalesce(F.try_element_at("at", F.lit(2)) == F.col("v"), F.lit(False))
     return F.lit(True)
 
 
