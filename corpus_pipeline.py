@@ -7,7 +7,6 @@ returns a DataFrame, which is written as Parquet and read again as the next one'
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 from linkwhy.llm import codec, decontaminate, langid, line_dedup, simhash
 from linkwhy.llm.common import crc_mod, settle_table, table
@@ -35,8 +34,7 @@ def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 def bpe_codec(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """doc_id, n_tokens, ids, and whether decoding gave the text back."""
-    out = codec.encode_documents(docs.withColumn("__source_text", F.coalesce("text", F.lit(""))), keep=("__source_text",))
-    return out.select("doc_id", "n_tokens", "ids", (F.col("decoded") == F.col("__source_text")).alias("round_trip"))
+    return codec.encode_documents(docs, verify=True).select("doc_id", "n_tokens", "ids", "round_trip")
 
 
 STAGES = [

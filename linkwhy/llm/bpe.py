@@ -181,7 +181,7 @@ class Transducer:
     a boundary from which all of those descend is final, and what lies before it leaves.
     """
 
-    LARGEST_CACHE = 1 << 20
+    LARGEST_CACHE = 1 << 18
 
     def __init__(self, table: MergeTable):
         self.table = table

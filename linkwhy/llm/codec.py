@@ -8,8 +8,10 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .bpe import TextDecoder, Transducer, default_vocabulary, merge_table, slices
+from .common import blocks, tidy
 
-KEPT_WORDS = 1 << 20
+#: Pre-tokens whose identifiers a worker remembers; about 25 MB.
+KEPT_WORDS = 1 << 17
 
 
 class _Encoded(dict):
@@ -52,17 +54,18 @@ def encoder(path: str):
     return encode
 
 
-def encode_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", vocabulary: str | None = None, digests: bool = False, keep: tuple[str, ...] = ()) -> DataFrame:
+def encode_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", vocabulary: str | None = None, digests: bool = False, keep: tuple[str, ...] = (), verify: bool = False) -> DataFrame:
     """Encode every whole text and decode it again.
 
-    Returns id, the columns in ``keep``, ids (array of int) and decoded (string); with
-    ``digests`` instead id, n_tokens, ids_sha256 and decoded_sha256, made piece by piece so
-    that a long text needs no more memory than one piece.  Null and empty texts have no
+    Returns id, the columns in ``keep``, ids (array of int), decoded (string) and n_tokens; with
+    ``verify`` round_trip (whether the decoded text is the text) in place of the decoded
+    text; with ``digests`` instead id, n_tokens, ids_sha256 and decoded_sha256, made piece by
+    piece so that a long text needs no more memory than one piece.  Null and empty texts have no
     identifiers and decode to the empty text.  Repeated rows each give a row; an empty
     table gives none.  There is no shuffle.
     """
     path = vocabulary or default_vocabulary()
-    names = ["n_tokens", "ids_sha256", "decoded_sha256"] if digests else ["ids", "decoded", "n_tokens"]
+    names = ["n_tokens", "ids_sha256", "decoded_sha256"] if digests else ["ids", "round_trip" if verify else "decoded", "n_tokens"]
     keep = tuple(k for k in keep if k not in (id_col, *names))  # an output's name goes to the output
     base = docs.select(F.col(id_col).alias("__id"), F.col(text_col).alias("__text"), *keep)
     kinds = {f.name: f.dataType.simpleString() for f in base.schema.fields}
@@ -72,12 +75,12 @@ def encode_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "t
         import pyarrow as pa
 
         encode, table = encoder(path), merge_table(path)
-        for batch in batches:
+        for batch in blocks(batches, 1):
             columns = [[], [], []]
             for t in batch.column(1):
                 text = t.as_py() or ""
                 decoder = TextDecoder(table)
-                sha_ids, sha_text, n, all_ids, all_text = hashlib.sha256(), hashlib.sha256(), 0, [], []
+                sha_ids, sha_text, n, all_ids, all_text, same, at = hashlib.sha256(), hashlib.sha256(), 0, [], [], True, 0
                 for piece in encode(text):
                     got = decoder.feed(np.frombuffer(piece, "<u4").tolist())
                     n += len(piece) // 4
@@ -86,20 +89,24 @@ def encode_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "t
                         sha_text.update(got.encode("utf-8", "surrogatepass"))
                     else:
                         all_ids.append(piece)
-                        all_text.append(got)
+                        if verify:
+                            same, at = same and text.startswith(got, at), at + len(got)
+                        else:
+                            all_text.append(got)
                 tail = decoder.finish()
                 if digests:
                     sha_text.update(tail.encode())
                     row = (n, sha_ids.hexdigest(), sha_text.hexdigest())
                 else:
-                    row = (np.frombuffer(b"".join(all_ids), "<i4"), "".join(all_text) + tail, n)
+                    back = same and text[at:] == tail if verify else "".join(all_text) + tail
+                    row = (np.frombuffer(b"".join(all_ids), "<i4"), back, n)
                 for column, value in zip(columns, row, strict=True):
                     column.append(value)
-            kinds_out = [pa.int64(), pa.string(), pa.string()] if digests else [pa.list_(pa.int32()), pa.string(), pa.int64()]
+            kinds_out = [pa.int64(), pa.string(), pa.string()] if digests else [pa.list_(pa.int32()), pa.bool_() if verify else pa.string(), pa.int64()]
             kept = [batch.column(i) for i in range(batch.num_columns) if i != 1]
             yield pa.RecordBatch.from_arrays([*kept, *(pa.array(c, k) for c, k in zip(columns, kinds_out, strict=True))], names=["__id", *keep, *names])
 
-    types = ["long", "string", "string"] if digests else ["array<int>", "string", "long"]
+    types = ["long", "string", "string"] if digests else ["array<int>", "boolean" if verify else "string", "long"]
     schema = ", ".join(f"`{n}` {k}" for n, k in [("__id", kinds["__id"]), *((k, kinds[k]) for k in keep), *zip(names, types, strict=True)])
-    out = base.mapInArrow(run, schema)
+    out = base.mapInArrow(tidy(run), schema)
     return out.select(F.col("__id").alias(id_col), *keep, *names)

@@ -180,6 +180,33 @@ def blocks(batches, text: str | int = "text", limit: int = 4 << 20):
                 yield batch.slice(a, b - a)
 
 
+def tidy(run):
+    """A function for mapInArrow that gives freed memory back to the system when its task ends.
+
+    Python workers live on from task to task; what the allocators keep for later would
+    count against the executor in every stage that follows.
+    """
+
+    def tidied(batches):
+        try:
+            yield from run(batches)
+        finally:
+            release_memory()
+
+    return tidied
+
+
+def release_memory() -> None:
+    import ctypes
+
+    import pyarrow as pa
+
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)  # glibc only
+    if trim is not None:
+        trim(0)
+
+
 def settle_table(df: DataFrame) -> DataFrame:
     """Write ``df`` as Parquet to the shared folder and read it again; smaller on disk than a checkpoint."""
     path = shared_dir(df.sparkSession)

@@ -8,7 +8,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import blocks, joined, word_hashes, word_spans
+from .common import blocks, joined, tidy, word_hashes, word_spans
 
 
 @dataclass(frozen=True)
@@ -176,7 +176,7 @@ def _document_counts(docs: DataFrame, items: Items, text_col: str, n: int) -> tu
         seen = np.flatnonzero(total)
         yield pa.RecordBatch.from_arrays([pa.array(seen), pa.array(total[seen])], names=["k", "c"])
 
-    got = docs.select(F.col(text_col).alias("text")).mapInArrow(count, "k long, c long").groupBy("k").agg(F.sum("c").alias("c")).collect()
+    got = docs.select(F.col(text_col).alias("text")).mapInArrow(tidy(count), "k long, c long").groupBy("k").agg(F.sum("c").alias("c")).collect()
     out = np.zeros(len(items.gram) + 1, dtype=np.int64)
     for k, c in got:
         out[k] = c
@@ -243,7 +243,7 @@ def _searcher(seeds: Items, rules: Rules, item_kind):
                 names=["id", "item", "score", "first_word", "end_word", "seeds"],
             )
 
-    return run
+    return tidy(run)
 
 
 def clean(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text: str = "text", rules: Rules = Rules()) -> DataFrame:
@@ -267,4 +267,4 @@ def _sieve(seeds: Items, rules: Rules, column: int):
             free = [not search(words[at[i] : at[i + 1]], seeds, marks, rules) for i in range(part.num_rows)]
             yield part.filter(pa.array(free))
 
-    return run
+    return tidy(run)

@@ -9,6 +9,8 @@ import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .common import blocks, tidy
+
 WINDOW = 256
 WIDTHS = (2, 3, 4)
 #: The classifier is fitted on about this many documents of each language, with so many windows of each.
@@ -185,55 +187,71 @@ def predict(docs: DataFrame, model: ByteNet | None, id_col: str = "doc_id", text
     return out.withColumnsRenamed({"__id": id_col, "__lang": "lang_pred", "__score": "score"})
 
 
+def _judge(model: ByteNet | None, texts: list[str | None]) -> tuple[list[str], list[float]]:
+    """Language and score of each text."""
+    import regex
+
+    letter = regex.compile(r"\p{L}")
+    made, of = [], []
+    for i, t in enumerate(texts):
+        if model is not None and t and letter.search(t):
+            w = cut(t)
+            made.append(w)
+            of.append(np.full(len(w), i))
+    langs, scores = [UNKNOWN] * len(texts), [0.0] * len(texts)
+    if made:
+        x, of = np.concatenate(made), np.concatenate(of)
+        weight = _LETTER[x].sum(axis=1) + 1e-3
+        total = np.zeros((len(texts), len(model.labels)))
+        np.add.at(total, of, model.windows(x) * weight[:, None])
+        whole = total.sum(axis=1)
+        for i in np.unique(of):
+            best = int(total[i].argmax())
+            langs[i], scores[i] = model.labels[best], float(min(1.0, total[i, best] / whole[i]))
+    return langs, scores
+
+
+def _verdicts(model: ByteNet | None, column) -> tuple[list[str], list[float]]:
+    """Language and score of an Arrow column of texts, judged in parts of bounded size."""
+    langs, scores, some, size = [], [], [], 0
+    for t in column:
+        some.append(t.as_py())
+        size += len(some[-1] or "")
+        if size > 1 << 20:
+            a, b = _judge(model, some)
+            langs, scores, some, size = langs + a, scores + b, [], 0
+    a, b = _judge(model, some)
+    return langs + a, scores + b
+
+
 def judged(docs: DataFrame, model: ByteNet | None, id_col: str, text_col: str, keep: tuple[str, ...]) -> DataFrame:
     """As ``predict``, with columns __id, *keep, __lang and __score."""
     base = docs.select(F.col(id_col).alias("__id"), F.col(text_col).alias("__text"), *keep)
     kinds = {f.name: f.dataType.simpleString() for f in base.schema.fields}
 
-    def judge(texts):
-        import regex
-
-        letter = regex.compile(r"\p{L}")
-        made, of = [], []
-        for i, t in enumerate(texts):
-            if model is not None and t and letter.search(t):
-                w = cut(t)
-                made.append(w)
-                of.append(np.full(len(w), i))
-        langs, scores = [UNKNOWN] * len(texts), [0.0] * len(texts)
-        if made:
-            x, of = np.concatenate(made), np.concatenate(of)
-            weight = _LETTER[x].sum(axis=1) + 1e-3
-            total = np.zeros((len(texts), len(model.labels)))
-            np.add.at(total, of, model.windows(x) * weight[:, None])
-            whole = total.sum(axis=1)
-            for i in np.unique(of):
-                best = int(total[i].argmax())
-                langs[i], scores[i] = model.labels[best], float(min(1.0, total[i, best] / whole[i]))
-        return langs, scores
-
     def run(batches):
         import pyarrow as pa
 
         for batch in batches:
-            langs, scores, some, size = [], [], [], 0
-            for t in batch.column(1):
-                some.append(t.as_py())
-                size += len(some[-1] or "")
-                if size > 1 << 20:
-                    a, b = judge(some)
-                    langs, scores, some, size = langs + a, scores + b, [], 0
-            a, b = judge(some)
+            langs, scores = _verdicts(model, batch.column(1))
             kept = [batch.column(i) for i in range(batch.num_columns) if i != 1]
-            yield pa.RecordBatch.from_arrays([*kept, pa.array(langs + a, pa.string()), pa.array(scores + b, pa.float64())], names=["__id", *keep, "__lang", "__score"])
+            yield pa.RecordBatch.from_arrays([*kept, pa.array(langs, pa.string()), pa.array(scores, pa.float64())], names=["__id", *keep, "__lang", "__score"])
 
     schema = ", ".join(f"`{n}` {kinds[n]}" for n in ["__id", *keep]) + ", __lang string, __score double"
-    return base.mapInArrow(run, schema)
+    return base.mapInArrow(tidy(run), schema)
 
 
 def accepted(docs: DataFrame, model: ByteNet | None, id_col: str = "doc_id", text_col: str = "text", least: float = 0.4) -> DataFrame:
     """The documents with a language: not ``und``, and judged with a score of at least ``least``; columns stay."""
     if model is None:
         return docs
-    out = judged(docs, model, id_col, text_col, tuple(docs.columns))
-    return out.filter((F.col("__lang") != UNKNOWN) & (F.col("__score") >= least)).select(*docs.columns)
+    at = docs.columns.index(text_col)
+
+    def run(batches):
+        import pyarrow as pa
+
+        for part in blocks(batches, at):
+            langs, scores = _verdicts(model, part.column(at))
+            yield part.filter(pa.array([lang != UNKNOWN and score >= least for lang, score in zip(langs, scores, strict=True)]))
+
+    return docs.mapInArrow(tidy(run), docs.schema)

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import settle
+from .common import settle, tidy
 from .components import connected_components
 
 SALTS = 16
@@ -49,7 +49,7 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
             found = np.fromiter((fingerprint(t.as_py(), shingle) for t in batch.column(1)), dtype=np.uint64, count=batch.num_rows)
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array(found.view(np.int64))], names=["id", "th", "fp"])
 
-    return base.mapInArrow(run, f"id {base.schema['id'].dataType.simpleString()}, th long, fp long")
+    return base.mapInArrow(tidy(run), f"id {base.schema['id'].dataType.simpleString()}, th long, fp long")
 
 
 def covering_masks(radius: int, bits: int = 64) -> list[int]:
