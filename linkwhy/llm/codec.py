@@ -10,8 +10,8 @@ from pyspark.sql import functions as F
 from .bpe import TextDecoder, Transducer, default_vocabulary, merge_table, slices
 from .common import blocks, tidy
 
-#: Pre-tokens whose identifiers a worker remembers; about 25 MB.
-KEPT_WORDS = 1 << 17
+#: Pre-tokens whose identifiers a worker remembers; about 100 MB.
+KEPT_WORDS = 1 << 19
 
 
 class _Encoded(dict):
