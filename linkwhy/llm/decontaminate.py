@@ -1,4 +1,4 @@
-"""Operator 9: benchmark decontamination by rare n-gram seeds and Smith-Waterman alignment."""
+"""Operator 9: benchmark decontamination by n-gram seeds and Smith-Waterman alignment."""
 
 from __future__ import annotations
 
@@ -13,16 +13,13 @@ from .common import blocks, joined, tidy, word_hashes, word_spans
 
 @dataclass(frozen=True)
 class Rules:
-    """n: words of a seed.  common: a seed in more documents than this (or this share of all)
-    is common; the rarer half of an item's n-grams are seeds all the same, so that an item
-    copied into any number of documents keeps seeds.  least_seeds: different seeds of an item
-    near one diagonal that lead to an alignment.  Scores: a matching word 1, a differing or
+    """n: words of a seed.  Every n-gram of an item is a seed, however many documents hold it:
+    in a passage copied often the n-grams that its edits left whole are the common ones.
+    least_seeds: different seeds of an item near one diagonal that lead to an alignment.  Scores: a matching word 1, a differing or
     missing word ``penalty``.  least_score: score by words of the item from which a passage is
     contamination.  least_words: items with fewer words are not searched for."""
 
     n: int = 3
-    common: int = 50
-    common_share: float = 1e-4
     least_seeds: int = 2
     penalty: float = 0.5
     least_score: float = 0.5
@@ -78,9 +75,6 @@ class Items:
             self.gram, self.item, self.place = gram[order], item[order], place[order]
         return self
 
-    def keep(self, rare: np.ndarray) -> Items:
-        return Items(self.ids, self.words, self.gram[rare], self.item[rare], self.place[rare])
-
     def sieve(self) -> np.ndarray:
         marks = np.zeros(1 << 20, dtype=bool)
         marks[self.gram & np.uint64((1 << 20) - 1)] = True
@@ -157,50 +151,12 @@ def _blocks(benchmark: DataFrame, item_col: str, text_col: str, rules: Rules):
         yield [(r[0], r[1]) for r in part.collect()]
 
 
-def _document_counts(docs: DataFrame, items: Items, text_col: str, n: int) -> tuple[np.ndarray, int]:
-    """Number of documents with each n-gram of the block, over all documents, and number of documents."""
-    marks = items.sieve()
-
-    def count(batches):
-        import pyarrow as pa
-
-        total, rows = np.zeros(len(items.gram) + 1, dtype=np.int64), 0
-        for part in blocks(batches, "text"):
-            words, at = words_of(part.column(0).to_pylist())
-            rows += part.num_rows
-            for i in range(part.num_rows):
-                _, hit = items.find(grams(words[at[i] : at[i + 1]], n), marks)
-                if len(hit):
-                    total[np.unique(hit)] += 1
-        total[-1] = rows
-        seen = np.flatnonzero(total)
-        yield pa.RecordBatch.from_arrays([pa.array(seen), pa.array(total[seen])], names=["k", "c"])
-
-    got = docs.select(F.col(text_col).alias("text")).mapInArrow(tidy(count), "k long, c long").groupBy("k").agg(F.sum("c").alias("c")).collect()
-    out = np.zeros(len(items.gram) + 1, dtype=np.int64)
-    for k, c in got:
-        out[k] = c
-    first = np.searchsorted(items.gram, items.gram)  # equal n-grams share the count of the first
-    return out[first] if len(items.gram) else out[:0], int(out[-1])
-
-
-def rare_seeds(items: Items, counts: np.ndarray, documents: int, rules: Rules) -> Items:
-    limit = max(rules.common, rules.common_share * documents)
-    rare = counts <= limit
-    order = np.lexsort((counts, items.item))
-    rank = np.empty(len(order), dtype=np.int64)
-    size = np.bincount(items.item, minlength=len(items.ids))
-    begin = np.cumsum(size) - size
-    rank[order] = np.arange(len(order)) - begin[items.item[order]]
-    return items.keep(rare | (rank < -(-size[items.item] // 2)))
-
-
 def contaminated(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text: str = "text", rules: Rules = Rules()) -> DataFrame:
     """(id, item_id, score, first_word, end_word, seeds): one row per document and item that it holds.
 
     The benchmark is the query set: it comes in blocks of bounded size, and every block is
-    held against all documents in two passes without a shuffle: one counts the documents
-    that have each n-gram, the other finds rare seeds and aligns around them.  Null and
+    held against all documents in one pass without a shuffle, which finds seeds and aligns
+    around them.  Null and
     empty texts hold nothing; items below ``least_words`` words and null items are left
     out; repeated rows each give their rows; empty tables give none.  Whole texts are
     searched; words are lower-case alphanumeric runs, places are word numbers.
@@ -214,13 +170,11 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id",
         items = Items.of(rows, rules)
         if not items.ids:
             continue
-        counts, documents = _document_counts(docs, items, text_col, rules.n)
-        seeds = rare_seeds(items, counts, documents, rules)
-        out = out.unionByName(docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text")).mapInArrow(_searcher(seeds, rules, item_kind), schema))
+        out = out.unionByName(docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text")).mapInArrow(_searcher(items, rules, item_kind), schema))
     return out.withColumnRenamed("id", id_col).withColumnRenamed("item", item_col)
 
 
-def _searcher(seeds: Items, rules: Rules, item_kind):
+def _searcher(items: Items, rules: Rules, item_kind):
     from pyspark.sql.pandas.types import to_arrow_type
 
     item_type = to_arrow_type(item_kind)
@@ -228,14 +182,14 @@ def _searcher(seeds: Items, rules: Rules, item_kind):
     def run(batches):
         import pyarrow as pa
 
-        marks = seeds.sieve()
+        marks = items.sieve()
         for part in blocks(batches, "text"):
             words, at = words_of(part.column(1).to_pylist())
             rows, found = [], []
             for i in range(part.num_rows):
-                for hit in search(words[at[i] : at[i + 1]], seeds, marks, rules):
+                for hit in search(words[at[i] : at[i + 1]], items, marks, rules):
                     rows.append(i)
-                    found.append((seeds.ids[hit[0]], *hit[1:]))
+                    found.append((items.ids[hit[0]], *hit[1:]))
             columns = list(zip(*found, strict=True)) if found else [[]] * 5
             kinds = [item_type, pa.float64(), pa.int64(), pa.int64(), pa.int64()]
             yield pa.RecordBatch.from_arrays(
@@ -252,19 +206,18 @@ def clean(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_co
     for rows in _blocks(benchmark, item_col, item_text, rules):
         items = Items.of(rows, rules)
         if items.ids:
-            counts, documents = _document_counts(docs, items, text_col, rules.n)
-            docs = docs.mapInArrow(_sieve(rare_seeds(items, counts, documents, rules), rules, at), docs.schema)
+            docs = docs.mapInArrow(_sieve(items, rules, at), docs.schema)
     return docs
 
 
-def _sieve(seeds: Items, rules: Rules, column: int):
+def _sieve(items: Items, rules: Rules, column: int):
     def run(batches):
         import pyarrow as pa
 
-        marks = seeds.sieve()
+        marks = items.sieve()
         for part in blocks(batches, column):
             words, at = words_of(part.column(column).to_pylist())
-            free = [not search(words[at[i] : at[i + 1]], seeds, marks, rules) for i in range(part.num_rows)]
+            free = [not search(words[at[i] : at[i + 1]], items, marks, rules) for i in range(part.num_rows)]
             yield part.filter(pa.array(free))
 
     return tidy(run)

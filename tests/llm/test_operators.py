@@ -327,6 +327,19 @@ def test_leaks_are_found_and_clean_texts_left(spark):
     assert decontaminate.contaminated(df.filter("false"), bench).count() == 0 and decontaminate.clean(df, bench.filter("false")).count() == len(rows)
 
 
+def test_an_edited_item_in_many_documents_keeps_its_seeds(spark):
+    rng = random.Random(12)
+    pool = [f"w{i}" for i in range(400)]
+    text = lambda n=30: " ".join(rng.choice(pool) for _ in range(n))
+    item = [f"i{i}" for i in range(40)]
+    edited = " ".join("changed" if i % 4 == 3 else w for i, w in enumerate(item))
+    df = spark.createDataFrame([(i, f"{text()} {edited} {text()}") for i in range(60)] + [(100, text())], "doc_id long, text string")
+    bench = spark.createDataFrame([(1, " ".join(item))], "item_id long, text string")
+    got = decontaminate.contaminated(df, bench).collect()
+    assert {(r.doc_id, r.item_id) for r in got} == {(i, 1) for i in range(60)} and all(r.score >= 0.5 for r in got)
+    assert [r.doc_id for r in decontaminate.clean(df, bench).collect()] == [100]
+
+
 def test_toxic_words_are_learnt(spark):
     rng = random.Random(8)
     rows, labels = [], []
