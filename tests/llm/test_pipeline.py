@@ -1,6 +1,8 @@
 """The stages of the corpus pipeline on a small table, each held against a plain version."""
 
 import os
+import random
+import re
 
 import pytest
 
@@ -55,6 +57,44 @@ def test_near_dedup_stage_keeps_one_of_each_component(outputs):
     assert sorted(kept) == sorted({find(i) for i, _ in rows})
 
 
+def near(text):
+    w = re.findall(r"[^\x20\x09-\x0D]+", re.sub("[A-Z]", lambda m: m[0].lower(), text or ""))
+    return {tuple(w[i : i + 5]) for i in range(max(1, len(w) - 4))} if w else set()
+
+
+def kept_by_brute_force(rows):
+    sets, top = {i: near(t) for i, t in rows}, {i: i for i, _ in rows}
+
+    def find(x):
+        while top[x] != x:
+            x = top[x]
+        return x
+
+    for a in sets:
+        for b in sets:
+            if a < b and len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b]):
+                top[max(find(a), find(b))] = min(find(a), find(b))
+    return sorted({find(i) for i in sets})
+
+
+def test_near_dedup_stage_takes_five_words_and_a_similarity_of_four_fifths(spark, outputs):
+    rng = random.Random(3)
+    rows = []
+    for g in range(12):  # copies with one to five words changed, and chains of them
+        own = [f"w{rng.randrange(900)}" for _ in range(rng.randint(4, 120))]
+        for _ in range(12):
+            rows.append((len(rows), " ".join(own)))
+            own = list(own) if g % 2 else own
+            for _ in range(rng.randint(0, 3)):
+                own[rng.randrange(len(own))] = f"w{rng.randrange(900)}"
+    rows += [(900, None), (901, ""), (902, " \n"), (903, rows[0][1].upper())]
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    assert sorted(r.doc_id for r in corpus_pipeline.near_dedup(spark, df, SF).collect()) == kept_by_brute_force(rows)
+    given = [(r.doc_id, r.text) for r in outputs[2].collect()]
+    assert sorted(r.doc_id for r in outputs[3].collect()) == kept_by_brute_force(given)
+    assert corpus_pipeline.near_dedup(spark, df.filter("false"), SF).count() == 0
+
+
 def test_last_stage_gives_the_identifiers_of_the_library(outputs):
     from tokenizers import Tokenizer
 
