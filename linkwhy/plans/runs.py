@@ -2,22 +2,56 @@
 
 from __future__ import annotations
 
+import contextlib
 import tempfile
+import uuid
 from dataclasses import dataclass, field
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 
+#: Folders that the open ``scratch`` blocks will delete, innermost last.
+_SCRATCH: list[list[tuple[SparkSession, str]]] = []
+
+
+def shared_dir(spark: SparkSession) -> str:
+    """A new folder below the cluster's ``spark.checkpoint.dir``; a local one only on a local master, as in tests."""
+    context = spark.sparkContext
+    base = spark.conf.get("spark.checkpoint.dir", None)
+    if not base:
+        known = context._jsc.sc().getCheckpointDir()
+        if known.isDefined():
+            base = known.get()
+        elif context.master.startswith("local"):
+            base = "file://" + tempfile.mkdtemp(prefix="linkwhy-")
+            spark.conf.set("spark.checkpoint.dir", base)
+        else:
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
+    return f"{base.rstrip('/')}/linkwhy-{uuid.uuid4().hex}"
 
-def settle(df: DataFrame) -> DataFrame:
-    """Write to the shared checkpoint folder and go on from there.
 
-    The folder is the cluster's ``spark.checkpoint.dir``; a local one is made only where
-    none is named, as in tests.
-    """
+def settle(df: DataFrame) -> DataFrame:
+    """Write to the shared folder and go on from there: a lost executor costs one round."""
     spark = df.sparkSession
     if not spark.sparkContext._jsc.sc().getCheckpointDir().isDefined():
-        spark.sparkContext.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or "file://" + tempfile.mkdtemp(prefix="linkwhy-"))
-    return df.checkpoint(eager=True)
+        spark.sparkContext.setCheckpointDir(shared_dir(spark))
+    out = df.checkpoint(eager=True)
+    if _SCRATCH:
+        place = out._jdf.queryExecution().logical().rdd().getCheckpointFile()
+        if place.isDefined():
+            _SCRATCH[-1].append((spark, place.get()))
+    return out
+
+
+@contextlib.contextmanager
+def scratch():
+    """Delete what was settled inside when the block ends; results must have been written or read by then."""
+    _SCRATCH.append([])
+    try:
+        yield
+    finally:
+        for spark, path in _SCRATCH.pop():
+            place = spark._jvm.org.apache.hadoop.fs.Path(path)
+            place.getFileSystem(spark._jsc.hadoopConfiguration()).delete(place, True)
 
 
 @dataclass

@@ -27,7 +27,7 @@ def read_edges(spark: SparkSession, path: str, format: str = "csv", mapping: dic
     """
     if format == "triples":
         part = F.split(F.trim("value"), r"\s+")
-        raw = spark.read.text(path).filter(F.length(F.trim("value")) > 0).select(part[0].alias("src"), part[1].alias("rel"), part[2].alias("dst"))
+        raw = spark.read.text(path).select(*(F.get(part, i).alias(c) for i, c in enumerate(("src", "rel", "dst"))))  # shorter lines are no edges
     elif format == "csv":
         raw = spark.read.csv(path, header=True, sep=sep)
     elif format == "json":

@@ -214,7 +214,7 @@ def test_store_and_import(spark, toy, tmp_path):
     (tmp_path / "e.csv").write_text("s,p,o\n1,knows,2\n1,knows,2\n2,knows,2\nx,knows,1\n")
     edges = read_edges(spark, str(tmp_path / "e.csv"), mapping={"src": "s", "rel": "p", "dst": "o"})
     assert edges.count() == 2
-    (tmp_path / "e.txt").write_text("1 knows 2\n\n2 likes 3\n")
+    (tmp_path / "e.txt").write_text("1 knows 2\n\n7\n8 knows\n  \n2 likes 3\n")
     assert read_edges(spark, str(tmp_path / "e.txt"), "triples").count() == 2
 
 
