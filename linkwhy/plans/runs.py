@@ -23,7 +23,7 @@ def shared_dir(spark: SparkSession) -> str:
             base = known.get()
         elif context.master.startswith("local"):
             base = "file://" + tempfile.mkdtemp(prefix="linkwhy-")
-            spark.conf.set("spark.checkpoint.dir", base)
+            context.setCheckpointDir(base)
         else:
             raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
     return f"{base.rstrip('/')}/linkwhy-{uuid.uuid4().hex}"
@@ -38,10 +38,16 @@ def settle(df: DataFrame) -> DataFrame:
     if _SCRATCH:
         place = out._jdf.queryExecution().logical().rdd().getCheckpointFile()
         if place.isDefined():
-            _SCRATCH[-1].append((spark, place.get()))
+            delete_later(spark, place.get())
     return out
 
 
+def delete_later(spark: SparkSession, path: str) -> None:
+    """Hand a folder to the innermost open ``scratch`` block, if there is one."""
+    if _SCRATCH:
+        _SCRATCH[-1].append((spark, path))
+
+
 @contextlib.contextmanager
 def scratch():
     """Delete what was settled inside when the block ends; results must have been written or read by then."""
