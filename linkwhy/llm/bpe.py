@@ -4,8 +4,8 @@
 * ``count_by_heap`` counts tokens of one pre-token: a heap of adjacent pairs and a
   linked list of symbols; the lowest-rank pair is popped again and again and the
   count is the number of first symbols less the number of merges.
-* ``Transducer`` encodes a stream of bytes in constant memory: a token leaves as soon
-  as no continuation of the input can change it.
+* ``Transducer`` encodes a stream of bytes in constant memory: a token leaves once the
+  lookahead that the merge list needs has been seen behind it.
 * ``TextDecoder`` turns identifiers back into text byte by byte.
 """
 
@@ -60,10 +60,45 @@ class MergeTable:
             self.token_bytes.setdefault(i, s.encode())
         self.pattern = regex.compile(PATTERN)
         self.special_pattern = regex.compile("(" + "|".join(map(regex.escape, sorted(self.special, key=len, reverse=True))) + ")") if self.special else None
-        #: Bytes that must be seen beyond a boundary before it can be judged: the longest token.
-        self.lookahead = max(len(b) for b in self.token_id)
-        #: No boundary stays open for longer: along a chain of changes the ranks rise, each change moves one token.
-        self.most_open = self.lookahead * (len(self.pair) + 1)
+        self.lookahead = self._sufficient_lookahead()
+        self.suffixes = self._suffix_tree()
+
+    def _sufficient_lookahead(self) -> int:
+        """Bytes beyond a boundary after which no further input can move it.
+
+        Compare a text with a longer one that begins with it.  Left of the end of the shorter
+        text both are merged alike until one of them merges across that end: symbols x, y at
+        some rank.  From then on the symbol right of x's left edge may differ: it is x, or one
+        that grew from x as its leftmost part.  So the next boundary to the left can differ only
+        by a merge (z, w) of higher rank whose w begins with x, and so on leftwards.  Along such a chain ranks rise, and
+        each link lies the length of its left symbol further from the end.  (Equal ranks are
+        merged from the left, so they start no link.)  The heaviest chain bounds the distance of any change.
+        """
+        size = {i: len(b) for b, i in self.token_id.items()}
+        beyond: dict[int, int] = {}  # heaviest chain of higher ranks whose right symbol begins with this one
+        most = 1
+        for (a, b), _ in sorted(self.pair.items(), key=lambda item: -item[1][0]):
+            weight = size[a] + beyond.get(a, 0)
+            most = max(most, weight)
+            for symbol, _ in self._edge(b, 0):
+                if beyond.get(symbol, 0) < weight:
+                    beyond[symbol] = weight
+        return most
+
+    def _suffix_tree(self) -> tuple[dict[int, int], list[int]]:
+        """Tokens by their bytes from the last to the first: (node * 256 + byte -> node), token of each node or -1."""
+        step: dict[int, int] = {}
+        token = [-1]
+        for raw, i in self.token_id.items():
+            node = 0
+            for byte in reversed(raw):
+                to = step.get(node << 8 | byte)
+                if to is None:
+                    to = step[node << 8 | byte] = len(token)
+                    token.append(-1)
+                node = to
+            token[node] = i
+        return step, token
 
     def _edge(self, token: int, side: int) -> list[tuple[int, int]]:
         """The symbols that stand at one edge of a token while it grows, last first: (symbol, rank of the merge that ends it)."""
@@ -176,9 +211,9 @@ class Transducer:
 
     For every prefix of the input there is one last token: the one whose bytes end
     there and that may stand behind the last token of the prefix before it (two tokens
-    may stand side by side if no merge joins their edges while they grow).  The
-    tokens of the whole input pass through one of the last ``lookahead`` prefixes;
-    a boundary from which all of those descend is final, and what lies before it leaves.
+    may stand side by side if no merge joins their edges while they grow).  A boundary
+    with ``lookahead`` bytes behind it is final, so tokens up to there leave and the buffer
+    never holds more than ``most_held`` bytes.
     """
 
     LARGEST_CACHE = 1 << 20
@@ -186,6 +221,7 @@ class Transducer:
     def __init__(self, table: MergeTable):
         self.table = table
         self.fits: dict[tuple[int, int], bool] = {}
+        self.most_held = 4 * table.lookahead
         self.reset()
 
     def reset(self) -> None:
@@ -203,57 +239,47 @@ class Transducer:
             self.fits[key] = known
         return known
 
+    def _walk(self, raw, last: list[int], begin: int) -> None:
+        """Extend ``last`` by the last token of each prefix of ``raw`` beyond ``begin`` bytes."""
+        (step, token_at), fits, may_follow = self.table.suffixes, self.fits, self.may_follow
+        for n in range(begin, len(raw)):
+            node, at, found = 0, n, []
+            while at >= 0:
+                node = step.get(node << 8 | raw[at])
+                if node is None:
+                    break
+                if token_at[node] >= 0:
+                    found.append((at, token_at[node]))
+                at -= 1
+            for at, token in reversed(found):
+                fit = fits.get((last[at], token))
+                if fit if fit is not None else may_follow(last[at], token):
+                    last.append(token)
+                    break
+
     def feed(self, piece: bytes) -> list[int]:
         out: list[int] = []
-        t, last, buffer = self.table.token_id, self.last, self.buffer
-        for byte in piece:
-            buffer.append(byte)
-            n = len(buffer)
-            for j in range(max(0, n - self.table.lookahead), n):
-                token = t.get(bytes(buffer[j:n]))
-                if token is not None and last[j] is not None:
-                    left = last[j] if j else self.before
-                    if self.may_follow(left, token):
-                        last.append(token)
-                        break
-            else:
-                last.append(None)
-            if n >= 4 * self.table.lookahead and n % self.table.lookahead == 0:
-                out += self._emit(final=False)
-                last, buffer = self.last, self.buffer
+        for at in range(0, len(piece), self.table.lookahead):
+            begin = len(self.buffer)
+            self.buffer += piece[at : at + self.table.lookahead]
+            self._walk(self.buffer, self.last, begin)
+            if len(self.buffer) > self.most_held - self.table.lookahead:
+                out += self._emit(len(self.buffer) - self.table.lookahead)
         return out
 
     def finish(self) -> list[int]:
-        out = self._emit(final=True)
+        out = self._emit(len(self.buffer))
         self.reset()
         return out
 
-    def _chain(self, at: int) -> list[int]:
-        """Boundaries from ``at`` back to the start of the buffer."""
-        bounds = [at]
-        while at > 0:
-            at -= len(self.table.token_bytes[self.last[at]])
-            bounds.append(at)
-        return bounds
-
-    def _emit(self, final: bool) -> list[int]:
-        n = len(self.buffer)
-        if final:
-            cut = n
-        else:
-            common = None
-            for at in range(n - self.table.lookahead + 1, n + 1):
-                if self.last[at] is not None:
-                    chain = set(self._chain(at))
-                    common = chain if common is None else common & chain
-            cut = max(common or {0})
-            if n > self.table.most_open:
-                raise AssertionError("a boundary stayed open beyond the bound of this merge list")
-        ids = []
-        at = cut
+    def _emit(self, until: int) -> list[int]:
+        """The tokens that end at ``until`` or before."""
+        size, ids, at, cut = self.table.token_bytes, [], len(self.buffer), 0
         while at > 0:
-            ids.append(self.last[at])
-            at -= len(self.table.token_bytes[self.last[at]])
+            if at <= until:
+                cut = max(cut, at)
+                ids.append(self.last[at])
+            at -= len(size[self.last[at]])
         ids.reverse()
         if ids:
             self.before = ids[-1]
@@ -262,27 +288,17 @@ class Transducer:
         return ids
 
     def encode(self, word: bytes) -> list[int]:
-        """All tokens of one pre-token.  A short one fits the window whole and is walked in place."""
-        size = len(word)
-        self.reset()
-        if size > 2 * self.table.lookahead:
+        """All tokens of one pre-token; one that fits the buffer is walked in place."""
+        if len(word) > self.most_held:
+            self.reset()
             ids = self.feed(word)
             return ids + self.finish()
         whole = self.table.token_id.get(word)
         if whole is not None and self.may_follow(-1, whole):
             return [whole]
-        tokens, fits, last, longest = self.table.token_id, self.fits, [-1], self.table.lookahead
-        for n in range(1, size + 1):
-            for j in range(max(0, n - longest), n):
-                token = tokens.get(word[j:n])
-                if token is not None and (left := last[j]) is not None:
-                    fit = fits.get((left, token))
-                    if fit if fit is not None else self.may_follow(left, token):
-                        last.append(token)
-                        break
-            else:
-                last.append(None)
-        ids, at, of = [], size, self.table.token_bytes
+        last = [-1]
+        self._walk(word, last, 0)
+        ids, at, of = [], len(word), self.table.token_bytes
         while at:
             ids.append(last[at])
             at -= len(of[last[at]])
@@ -309,7 +325,11 @@ class TextDecoder:
         return self.machine.decode(b"", final=True)
 
 
-def slices(text: str, size: int = 1 << 16):
+#: Characters of a slice of text, where it can be cut.
+SLICE = 1 << 16
+
+
+def slices(text: str, size: int = SLICE):
     """Parts of a text, cut only where pre-tokens end: before one space between two letters."""
     at = 0
     while len(text) - at > size:

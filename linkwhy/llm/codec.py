@@ -3,11 +3,12 @@
 from __future__ import annotations
 
 import hashlib
+import struct
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .bpe import TextDecoder, Transducer, default_vocabulary, merge_table, slices
+from .bpe import SLICE, TextDecoder, Transducer, default_vocabulary, merge_table, slices
 from .common import blocks, tidy
 
 #: Pre-tokens whose identifiers a worker remembers; about 100 MB.
@@ -23,9 +24,7 @@ class _Encoded(dict):
         self.transducer = Transducer(table)
 
     def __missing__(self, word: str) -> bytes:
-        import numpy as np
-
-        ids = np.array(self.transducer.encode(word.encode("utf-8", "surrogatepass")), dtype="<u4").tobytes()
+        ids = _packed(self.transducer.encode(word.encode("utf-8", "surrogatepass")))
         if len(self) >= KEPT_WORDS:
             self.clear()
         if len(word) <= 64:
@@ -49,11 +48,36 @@ def encoder(path: str):
                 yield special.to_bytes(4, "little")
                 continue
             for piece in slices(part):
-                yield b"".join(map(store.__getitem__, table.pattern.findall(piece)))
+                if len(piece) <= 2 * SLICE:
+                    yield b"".join(map(store.__getitem__, table.pattern.findall(piece)))
+                else:
+                    yield from _streamed(store, piece)
 
     return encode
 
 
+def _streamed(store: _Encoded, piece: str):
+    """Identifiers of a text without places to cut it: pre-tokens one by one, long ones in parts."""
+    held = []
+    for m in store.table.pattern.finditer(piece):
+        a, b = m.span()
+        if b - a <= SLICE:
+            held.append(store[m[0]])
+            if len(held) < 1 << 12:
+                continue
+        yield b"".join(held)
+        held = []
+        if b - a > SLICE:
+            for at in range(a, b, SLICE):
+                yield _packed(store.transducer.feed(piece[at : min(b, at + SLICE)].encode("utf-8", "surrogatepass")))
+            yield _packed(store.transducer.finish())
+    yield b"".join(held)
+
+
+def _packed(ids: list[int]) -> bytes:
+    return struct.pack(f"<{len(ids)}I", *ids)
+
+
 def encode_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", vocabulary: str | None = None, digests: bool = False, keep: tuple[str, ...] = (), verify: bool = False) -> DataFrame:
     """Encode every whole text and decode it again.
 

@@ -3,8 +3,6 @@
 from __future__ import annotations
 
 import os
-import tempfile
-import uuid
 from urllib.parse import urlparse
 
 import numpy as np
@@ -12,6 +10,10 @@ import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..plans.runs import delete_later, scratch, settle, shared_dir
+
+__all__ = ["delete_later", "scratch", "settle", "shared_dir"]
+
 #: Words are maximal runs without these bytes: space and the controls 9 to 13.
 SPACES = " \t\n\x0b\x0c\r"
 
@@ -21,27 +23,6 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """A new folder below ``spark.checkpoint.dir``, which all executors share.
-
-    Only where the cluster names none (tests), a local temporary folder is set.
-    """
-    base = spark.conf.get("spark.checkpoint.dir", None)
-    if not base:
-        existing = spark.sparkContext._jsc.sc().getCheckpointDir()
-        base = existing.get() if existing.isDefined() else "file://" + tempfile.mkdtemp(prefix="linkwhy-")
-        spark.conf.set("spark.checkpoint.dir", base) if not existing.isDefined() else None
-    if not spark.sparkContext._jsc.sc().getCheckpointDir().isDefined():
-        spark.sparkContext.setCheckpointDir(base)
-    return f"{base.rstrip('/')}/linkwhy-{uuid.uuid4().hex}"
-
-
-def settle(df: DataFrame) -> DataFrame:
-    """Write ``df`` to the shared checkpoint folder and go on from there."""
-    shared_dir(df.sparkSession)
-    return df.checkpoint(eager=True)
-
-
 def local_path(uri: str) -> str | None:
     """The path of a ``file:`` URI; None for other stores."""
     parts = urlparse(uri)
@@ -207,9 +188,14 @@ def release_memory() -> None:
         trim(0)
 
 
-def settle_table(df: DataFrame) -> DataFrame:
-    """Write ``df`` as Parquet to the shared folder and read it again; smaller on disk than a checkpoint."""
+def settle_table(df: DataFrame, keep: bool = False) -> DataFrame:
+    """Write ``df`` as Parquet to the shared folder and read it again; smaller on disk than a checkpoint.
+
+    An open ``scratch`` block deletes it at its end, unless ``keep`` asks for more.
+    """
     path = shared_dir(df.sparkSession)
+    if not keep:
+        delete_later(df.sparkSession, path)
     df.write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 

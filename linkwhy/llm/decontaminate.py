@@ -17,7 +17,7 @@ class Rules:
     in a passage copied often the n-grams that its edits left whole are the common ones.
     least_seeds: different seeds of an item near one diagonal that lead to an alignment.  Scores: a matching word 1, a differing or
     missing word ``penalty``.  least_score: score by words of the item from which a passage is
-    contamination.  least_words: items with fewer words are not searched for."""
+    contamination.  least_words: an item with fewer words must stand whole, word by word, in a document."""
 
     n: int = 3
     least_seeds: int = 2
@@ -56,18 +56,23 @@ class Items:
     gram: np.ndarray = field(default_factory=lambda: np.zeros(0, np.uint64))  # sorted
     item: np.ndarray = field(default_factory=lambda: np.zeros(0, np.int64))
     place: np.ndarray = field(default_factory=lambda: np.zeros(0, np.int64))
+    short: dict[int, dict[int, list[int]]] = field(default_factory=dict)  # short items by number of words and hash of them all
 
     @classmethod
     def of(cls, rows: list[tuple], rules: Rules) -> Items:
         ids, words = [], []
         for item_id, text in sorted(rows, key=lambda r: (r[0] is None, r[0])):
             w, _ = words_of([text])
-            if len(w) >= max(rules.least_words, rules.n):
+            if len(w):
                 ids.append(item_id)
                 words.append(w)
         self = cls(ids, words)
         if ids:
-            g = [grams(w, rules.n) for w in words]
+            few = max(rules.least_words, rules.n)
+            for k, w in enumerate(words):
+                if len(w) < few:
+                    self.short.setdefault(len(w), {}).setdefault(int(grams(w, len(w))[0]), []).append(k)
+            g = [grams(w, rules.n) if len(w) >= few else w[:0] for w in words]
             gram = np.concatenate(g)
             item = np.repeat(np.arange(len(g)), [len(x) for x in g])
             place = np.concatenate([np.arange(len(x)) for x in g])
@@ -111,9 +116,10 @@ def align(item: np.ndarray, window: np.ndarray, penalty: float) -> tuple[float,
 
 def search(words: np.ndarray, items: Items, marks: np.ndarray, rules: Rules) -> list[tuple[int, float, int, int, int]]:
     """(item number, score, first word, end word, seeds) of contaminating passages in one document."""
+    found = _whole(words, items)
     where, at = items.find(grams(words, rules.n), marks)
     if not len(where):
-        return []
+        return [found[k] for k in sorted(found)]
     last = np.searchsorted(items.gram, items.gram[at], side="right")
     count = last - at
     pos = np.repeat(where, count)
@@ -124,7 +130,6 @@ def search(words: np.ndarray, items: Items, marks: np.ndarray, rules: Rules) ->
     item, diagonal, place, pos = item[order], diagonal[order], place[order], pos[order]
     sizes = np.array([len(w) for w in items.words])
     cut = np.flatnonzero((np.diff(item) != 0) | (np.diff(diagonal) > np.maximum(4, sizes[item[1:]] // 3))) + 1
-    found: dict[int, tuple] = {}
     for a, b in zip([0, *cut], [*cut, len(item)], strict=True):
         k = int(item[a])
         seeds = len(np.unique(place[a:b]))
@@ -141,6 +146,17 @@ def search(words: np.ndarray, items: Items, marks: np.ndarray, rules: Rules) ->
     return [found[k] for k in sorted(found)]
 
 
+def _whole(words: np.ndarray, items: Items) -> dict[int, tuple]:
+    """The first place of each short item that stands whole in a document."""
+    found: dict[int, tuple] = {}
+    for n, kinds in items.short.items():
+        g = grams(words, n)
+        for p in np.flatnonzero(np.isin(g, np.fromiter(kinds, dtype=np.uint64, count=len(kinds)))):
+            for k in kinds[int(g[p])]:
+                found.setdefault(k, (k, 1.0, int(p), int(p) + n, 1))
+    return found
+
+
 def _blocks(benchmark: DataFrame, item_col: str, text_col: str, rules: Rules):
     """The benchmark in blocks of bounded size, as rows on the driver one block at a time."""
     rows = benchmark.select(F.col(item_col).alias("id"), F.col(text_col).alias("text")).filter(F.col("text").isNotNull())
@@ -157,8 +173,8 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id",
     The benchmark is the query set: it comes in blocks of bounded size, and every block is
     held against all documents in one pass without a shuffle, which finds seeds and aligns
     around them.  Null and
-    empty texts hold nothing; items below ``least_words`` words and null items are left
-    out; repeated rows each give their rows; empty tables give none.  Whole texts are
+    empty texts hold nothing; items below ``least_words`` words count where they stand whole; items without words are
+    left out; repeated rows each give their rows; empty tables give none.  Whole texts are
     searched; words are lower-case alphanumeric runs, places are word numbers.
     """
     spark = docs.sparkSession

@@ -54,9 +54,14 @@ def exact_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
 
 
 def exact_dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", salts: int = SALTS) -> DataFrame:
-    """The documents that stay, with all their columns (rows repeated with one id and text all stay)."""
-    kept = exact_classes(docs, id_col, text_col, salts).filter("kept").select(F.col(id_col).alias("__keep")).distinct()
-    return docs.join(kept, docs[id_col].eqNullSafe(kept["__keep"]), "left_semi")
+    """The documents that stay, with all their columns.
+
+    A row stays if its id *and* its text are those of a class's winner, so one id with two texts is two
+    documents.  Rows repeated with one id and text all stay; a null id stays only where its class has no other.
+    """
+    kept = exact_classes(docs, id_col, text_col, salts).filter("kept").select(F.col(id_col).alias("__keep"), F.col("text_sha256").alias("__kept_sha")).distinct()
+    own = F.sha2(text_or_empty(text_col).cast("binary"), 256)
+    return docs.join(kept, docs[id_col].eqNullSafe(kept["__keep"]) & (own == kept["__kept_sha"]), "left_semi")
 
 
 ORACLE = """

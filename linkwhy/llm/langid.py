@@ -242,7 +242,11 @@ def judged(docs: DataFrame, model: ByteNet | None, id_col: str, text_col: str, k
 
 
 def accepted(docs: DataFrame, model: ByteNet | None, id_col: str = "doc_id", text_col: str = "text", least: float = 0.4) -> DataFrame:
-    """The documents with a language: not ``und``, and judged with a score of at least ``least``; columns stay."""
+    """The documents with a language: not ``und``, and judged with a score of at least ``least``; columns stay.
+
+    Without a model (nothing was labelled) there is nothing to judge by, and every row stays, so that a corpus
+    without labels is not lost; ``predict`` calls such texts ``und``.
+    """
     if model is None:
         return docs
     at = docs.columns.index(text_col)

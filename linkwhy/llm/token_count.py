@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .bpe import count_by_heap, default_vocabulary, merge_table, slices
+from .bpe import SLICE, count_by_heap, default_vocabulary, merge_table, slices
 
 #: Distinct pre-tokens whose counts a worker keeps; beyond it the store is emptied.
 KEPT_WORDS = 1 << 20
@@ -44,7 +44,10 @@ def counter(path: str):
                 n += 1
                 continue
             for piece in slices(part):
-                n += sum(map(counts.__getitem__, table.pattern.findall(piece)))
+                if len(piece) <= 2 * SLICE:
+                    n += sum(map(counts.__getitem__, table.pattern.findall(piece)))
+                else:  # no place to cut it: pre-tokens one by one
+                    n += sum(counts[m[0]] for m in table.pattern.finditer(piece))
         return n
 
     return count

@@ -15,6 +15,8 @@ BUCKETS = 1 << 18
 PREFIXES = (4, 5, 6)
 #: The classifier is fitted on about this many labelled documents with, and without, the last category.
 SAMPLE = 3000
+#: ... whose texts have about this many bytes together at most; the driver gets fewer.
+SAMPLE_BYTES = 64 << 20
 FOLDS = 3
 
 
@@ -41,7 +43,7 @@ def distinct(row: np.ndarray, bucket: np.ndarray) -> tuple[np.ndarray, np.ndarra
 
 @dataclass
 class Linear:
-    """A sparse logistic model over present buckets and the earlier categories' log-odds."""
+    """A sparse logistic model over present buckets and the earlier categories' probabilities."""
 
     weights: np.ndarray
     chain: np.ndarray
@@ -51,6 +53,10 @@ class Linear:
         return self.bias + np.bincount(row, weights=self.weights[bucket], minlength=len(earlier)) + earlier @ self.chain
 
 
+def probability(odds: np.ndarray) -> np.ndarray:
+    return 1 / (1 + np.exp(-np.clip(odds, -35, 35)))
+
+
 def train_linear(docs: list[np.ndarray], earlier: np.ndarray, y: np.ndarray, epochs: int = 3, alpha: float = 0.1, l1: float = 1.5, seed: int = 3) -> Linear:
     """Follow the regularised leader with per-weight rates; l1 leaves most buckets at zero."""
     z, n = np.zeros(BUCKETS), np.zeros(BUCKETS)
@@ -86,11 +92,11 @@ class Chain:
     models: list[Linear]
 
     def probabilities(self, row: np.ndarray, bucket: np.ndarray, n: int) -> np.ndarray:
-        """n x categories: each model sees the log-odds that the ones before it gave."""
-        odds = np.zeros((n, 0))
+        """n x categories: each model sees the probabilities that the ones before it gave."""
+        known = np.zeros((n, 0))
         for m in self.models:
-            odds = np.c_[odds, np.clip(m.odds(row, bucket, odds), -6, 6)]
-        return 1 / (1 + np.exp(-odds))
+            known = np.c_[known, probability(m.odds(row, bucket, known))]
+        return known
 
 
 def fit_arrays(docs: list[np.ndarray], labels: np.ndarray, categories: tuple[str, ...], folds: int = FOLDS) -> Chain:
@@ -108,17 +114,18 @@ def fit_arrays(docs: list[np.ndarray], labels: np.ndarray, categories: tuple[str
             if len(rest) and len(own):
                 m = train_linear([docs[i] for i in rest], earlier[rest], y[rest])
                 row = np.repeat(np.arange(len(own)), [len(docs[i]) for i in own])
-                out[own] = m.odds(row, np.concatenate([docs[i] for i in own]), earlier[own])
-        earlier = np.c_[earlier, np.clip(out, -6, 6)]
+                out[own] = probability(m.odds(row, np.concatenate([docs[i] for i in own]), earlier[own]))
+        earlier = np.c_[earlier, out]
     return Chain(categories, models)
 
 
-def fit(docs: DataFrame, labels: DataFrame, categories: dict[str, str], id_col: str = "doc_id", text_col: str = "text", sample: int = SAMPLE) -> Chain | None:
+def fit(docs: DataFrame, labels: DataFrame, categories: dict[str, str], id_col: str = "doc_id", text_col: str = "text", sample: int = SAMPLE, sample_bytes: int = SAMPLE_BYTES) -> Chain | None:
     """Fit on a bounded sample of labelled rows, drawn by a hash of the id.
 
     ``categories`` maps each category, in chain order, to a boolean SQL expression over the
     label columns.  About ``sample`` rows with the last category and ``sample`` without are
-    taken; rows with a null label are not learnt from.  None if nothing is labelled.
+    taken, fewer if their texts have more than ``sample_bytes``; rows with a null label are not learnt
+    from.  None if nothing is labelled.
     """
     names = tuple(categories)
     marked = labels.select(F.col(id_col).alias("__id"), *(F.expr(e).cast("int").alias(f"c{i}") for i, e in enumerate(categories.values())))
@@ -131,6 +138,9 @@ def fit(docs: DataFrame, labels: DataFrame, categories: dict[str, str], id_col:
     chosen = marked.filter(F.pmod(F.xxhash64("__id"), F.lit(1_000_000)) < share[F.col(last)])
     # a bounded sample: about 2 * sample rows of a few integers
     found = docs.select(F.col(id_col).alias("__id"), F.col(text_col).alias("text")).join(F.broadcast(chosen), "__id")
+    size = found.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    if size > sample_bytes:
+        found = found.filter(F.pmod(F.xxhash64(F.lit(1), "__id"), F.lit(1_000_000)) < int(1_000_000 * sample_bytes / size))
     columns = [f"c{i}" for i in range(len(names))]
 
     def extract(batches):

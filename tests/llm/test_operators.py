@@ -79,7 +79,50 @@ def test_transducer_streams_in_bounded_memory():
             most = max(most, len(t.buffer))
         out += t.finish()
         assert out == lib.encode(word, add_special_tokens=False).ids
-        assert most <= 8 * table.lookahead and count_by_heap(table, raw) == len(out)
+        assert most <= t.most_held and count_by_heap(table, raw) == len(out)
+
+
+def test_lookahead_is_sufficient():
+    """No boundary with the computed lookahead behind it moves when the text goes on, for texts that change far back too."""
+    from linkwhy.llm.bpe import Transducer
+
+    table, rng = merge_table(default_vocabulary()), random.Random(4)
+    t = Transducer(table)
+    size = table.token_bytes
+
+    def ends(raw):
+        at, out = 0, []
+        for i in t.encode(raw):
+            at += len(size[i])
+            out.append(at)
+        return out
+
+    tokens = [b for b in table.token_id if len(b) > 1]
+    moved = 0
+    for n in range(1500):
+        kind = n % 3
+        if kind == 0:
+            raw = b"".join(rng.choice(tokens) for _ in range(30))
+        elif kind == 1:
+            raw = (rng.choice(tokens)[: rng.randint(1, 4)] * 200)[:400]
+        else:  # tokens side by side that overlap
+            raw = b"".join(b[: rng.randint(1, len(b))] for b in (rng.choice(tokens) for _ in range(60)))[:500]
+        cut = rng.randint(1, len(raw) - 1)
+        a, b = ends(raw[:cut]), [e for e in ends(raw) if e < cut]
+        differ = [e for e in set(a[:-1]) ^ set(b)]
+        moved = max(moved, cut - min(differ, default=cut))
+        assert all(e > cut - table.lookahead for e in differ)
+    assert 0 < moved <= table.lookahead <= 512
+
+
+def test_a_text_without_places_to_cut_is_streamed(spark):
+    rng = random.Random(6)
+    lib = library()
+    rows = [(1, "".join(rng.choice("abcdeé") for _ in range(300_000))), (2, "1,2;" * 60_000), (3, "x" * 200_000 + " tail 7 " + "-" * 100_000)]
+    for r in codec.encode_documents(spark.createDataFrame(rows, "doc_id long, text string")).collect():
+        text = dict(rows)[r.doc_id]
+        ids = lib.encode(text, add_special_tokens=False).ids
+        assert list(r.ids) == ids and r.decoded == text and r.n_tokens == len(ids)
 
 
 def test_side_by_side_equals_merging():
