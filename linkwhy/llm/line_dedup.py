@@ -5,14 +5,15 @@ A record is parsed at fixed depth: its number of tokens, then its leading tokens
 a leaf; tokens with digits are variable fields from the start.  Inside a leaf that several
 documents reach, a token that few of them have at its place is a variable field too.  What
 is left, constants with ``<*>`` between them, is the template of the record; templates of
-enough documents recur, and all their records but the first are dropped.
+enough documents recur, and all their records but the first are dropped.  Two documents
+are enough where repeated records follow each other to a passage of some length.
 """
 
 from __future__ import annotations
 
 from dataclasses import dataclass
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import join_unique, settle_table
@@ -35,6 +36,11 @@ class Rules:
     themselves, unless they are whole lines of min_line_tokens in min_line_docs documents.
     min_docs: documents (of different texts) that must share a template.  constant: least
     share of constant tokens in a template with variable fields.
+
+    passage_tokens: repeated records that follow each other, at most ``gap`` places apart, are
+    a passage from so many tokens on; two documents are enough for it to recur, and the short
+    records inside it go with it.  near_copy: a document that holds less than this share besides is a near
+    copy as a whole, and what only two documents share stays in it (near-dedup compares whole texts).
     """
 
     depth: int = 4
@@ -43,6 +49,9 @@ class Rules:
     constant: float = 0.75
     min_line_tokens: int = 3
     min_line_docs: int = 20
+    passage_tokens: int = 50
+    gap: int = 3
+    near_copy: float = 0.15
 
 
 def _marked(text: Column) -> Column:
@@ -88,7 +97,12 @@ def _texts(df: DataFrame, keys: list[str], *more: Column) -> DataFrame:
 
 
 def recurring(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", rules: Rules = Rules()) -> DataFrame:
-    """(id, th, i) of the records to drop; see ``drop_recurring``."""
+    """(id, th, gone, weak, spans, words): what ``drop_recurring`` takes from each document that has repeated records.
+
+    gone: places of records of recurring templates.  weak: places in long passages that only
+    two documents share.  spans: first and last place of each long passage, whose short
+    records go too.  words: tokens of all repeated records.
+    """
     # The shapes are kept beside the hashes, so that a second look need not parse the texts again.
     thin = settle_table(_records(docs, id_col, text_col, rules).withColumn("shape", F.when(F.col("n") >= rules.min_tokens, F.col("shape"))))
 
@@ -104,11 +118,36 @@ def recurring(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", r
     open_tpls = rest.join(leaves, "leaf", "left_semi").select("tpl")
     loose = _fielded(thin, leaves, open_tpls, rules)
 
-    named = settle_table(plain.unionByName(loose))
-    hits = settle_table(join_unique(thin.select("id", "th", "i", "tpl"), named, ["tpl"], ["id", "i"]).drop("tpl"))
+    pairs = equal.filter(long & ~recurs & (F.col("texts") > 1)).select("tpl").join(loose.select("tpl"), "tpl", "left_anti").select("tpl", F.col("tpl").alias("template"))
+    named = settle_table(plain.unionByName(loose).withColumn("weak", F.lit(False)).unionByName(pairs.withColumn("weak", F.lit(True))))
+    hits = settle_table(join_unique(thin.select("id", "th", "i", "n", "tpl"), named, ["tpl"], ["id", "i"]).drop("tpl"))
     first = hits.groupBy("template").agg(F.min(F.struct("id", "i")).alias("first"))
     behind = join_unique(hits, first, ["template"], ["id", "i"])
-    return behind.filter(~(F.col("first.id").eqNullSafe(F.col("id")) & (F.col("first.i") == F.col("i")))).select("id", "th", "i")
+    behind = behind.filter(~(F.col("first.id").eqNullSafe(F.col("id")) & (F.col("first.i") == F.col("i"))))
+    return _passages(behind.groupBy("id", "th", "i").agg(F.max("n").alias("n"), F.min("weak").alias("weak")), rules)
+
+
+def _passages(behind: DataFrame, rules: Rules) -> DataFrame:
+    """Repeated records (id, th, i, n, weak) gathered to passages of neighbours, and those by document."""
+    turn = Window.partitionBy("id", "th").orderBy("i")
+    begins = F.coalesce((F.col("i") - F.lag("i").over(turn) > rules.gap).cast("int"), F.lit(1))
+    runs = behind.withColumn("begins", begins).withColumn("run", F.sum("begins").over(turn))
+    runs = runs.groupBy("id", "th", "run").agg(
+        F.sum("n").alias("words"), F.min("i").alias("lo"), F.max("i").alias("hi"), F.max("weak").alias("some_weak"),
+        F.collect_list(F.when(~F.col("weak"), F.col("i"))).alias("strong"), F.collect_list(F.when(F.col("weak"), F.col("i"))).alias("weak"),
+    )
+    long = F.col("words") >= rules.passage_tokens
+    return runs.groupBy("id", "th").agg(
+        F.flatten(F.collect_list("strong")).alias("gone"),
+        F.flatten(F.collect_list(F.when(long, F.col("weak")))).alias("weak"),
+        F.collect_list(F.when(long, F.struct("lo", "hi", "some_weak"))).alias("spans"),
+        F.sum("words").alias("words"),
+    )
+
+
+def token_count(record: Column) -> Column:
+    trimmed = F.rtrim(record, F.lit(" \n"))
+    return F.octet_length(trimmed) - F.octet_length(F.replace(trimmed, F.lit(" "), F.lit(""))) + 1
 
 
 def _fielded(thin: DataFrame, leaves: DataFrame, open_tpls: DataFrame, rules: Rules) -> DataFrame:
@@ -138,18 +177,32 @@ def drop_recurring(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     n_dropped, text.  Every row stays, if need be with an empty text; null texts stay null.
     Rows repeated with one id and text lose the same records; copies of a text count as one
     document.  An empty table gives no rows.  Records are cut by pattern, so a long line or
-    text is only a longer row.
+    text is only a longer row.  Templates and texts are compared by 64-bit hashes: a
+    collision can make two records look repeated, which drops nothing unless their neighbours repeat too.
     """
-    gone = recurring(docs, id_col, text_col, rules).groupBy("id", "th").agg(F.sort_array(F.collect_set("i")).alias("__gone")).select(F.col("id").alias("__id"), F.col("th").alias("__th"), "__gone")
-    base = docs.withColumn("__h", F.xxhash64(text_col))
+    gone = recurring(docs, id_col, text_col, rules).select(F.col("id").alias("__id"), F.col("th").alias("__th"), "gone", "weak", "spans", "words")
+    base = docs.select("*", F.xxhash64(text_col).alias("__h"))
+    gone = gone.select(F.col("__id"), F.col("__th"), F.struct("gone", "weak", "spans", "words").alias("__drop"))
     joined = base.join(gone, base[id_col].eqNullSafe(gone["__id"]) & (base["__h"] == gone["__th"]), "left")
-    kept = F.array_join(F.filter(record_list(F.col(text_col)), lambda x, i: ~F.array_contains("__gone", i)), "")
-    text = F.when(F.col("__gone").isNull(), F.col(text_col)).otherwise(kept)  # no record gone: the text as it was
+    text = F.col(text_col)
+    own = F.octet_length(text) - F.octet_length(F.translate(text, " \n", "")) + 1  # about the tokens of the text
+    carrier = F.col("__drop.words") <= (1 - rules.near_copy) * own
+    records = record_list(text)
+
+    def stays(x: Column, i: Column) -> Column:
+        inside = F.exists("__drop.spans", lambda s: (s["lo"] < i) & (i < s["hi"]) & (carrier | ~s["some_weak"]))
+        out = F.array_contains("__drop.gone", i) | (carrier & F.array_contains("__drop.weak", i)) | ((token_count(x) < rules.min_tokens) & inside)
+        return ~out
+
+    left = F.filter(records, stays)
+    joined = joined.withColumn("__left", F.when(F.col("__drop").isNotNull(), left))
+    kept = F.when(F.col("__drop").isNull(), text).otherwise(F.array_join("__left", ""))  # no record gone: the text as it was
     if report:
+        n = F.coalesce(record_count(text), F.lit(0))
         return joined.select(
             F.col(id_col),
-            F.coalesce(record_count(F.col(text_col)), F.lit(0)).alias("n_records"),
-            F.coalesce(F.size("__gone"), F.lit(0)).alias("n_dropped"),
-            text.alias("text"),
+            n.alias("n_records"),
+            F.when(F.col("__drop").isNull(), 0).otherwise(n - F.size("__left")).alias("n_dropped"),
+            kept.alias("text"),
         )
-    return joined.select(*(text.alias(c) if c == text_col else F.col(c) for c in docs.columns))
+    return joined.select(*(kept.alias(c) if c == text_col else F.col(c) for c in docs.columns))

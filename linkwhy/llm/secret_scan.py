@@ -2,9 +2,11 @@
 
 from __future__ import annotations
 
+import functools
 import hashlib
 import math
 import re
+from collections import deque
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -16,12 +18,14 @@ BASE = (
     ("hex", re.compile(r"[0-9a-f]+"), 0, 32),
 )
 #: A value in a credential context, with more names, separators and characters than the base pattern has.
-CONTEXT = re.compile(r"""(?:pass(?:word|wd|phrase|code)?|pwd|secret|token|credentials?|(?:api|access|private|auth)[_\-\x20]?key|login|pin)["']?\x20{0,3}(?:[:=]|=>|:=|\x20is\x20)\x20{0,3}["'`]?([^\s"'`<>,;]+)""", re.I | re.A)
+CONTEXT = re.compile(r"""(?<![A-Za-z])(?:pass(?:word|wd|phrase|code)?|pwd|secret|token|credentials?|(?:api|access|private|auth)[_\-\x20]?key|login|pin)["']?\x20{0,3}(?:[:=]|=>|:=|\x20is\x20)\x20{0,3}["'`]?([^\s"'`<>,;]+)""", re.I | re.A)
 #: Parts of every context, to pass over texts that have none.
 HINTS = ("pass", "pwd", "secret", "token", "credential", "key", "login", "pin")
 KINDS = ("assign", "access", "hex", "guess")
 #: Guesses (as a power of ten) from which a value counts as a secret rather than a placeholder, and least length.
 LEAST_COST, LEAST_LENGTH = 8.0, 6
+#: Words of the corpus that a guesser tries, most frequent first, so many; the driver and the workers hold them.
+CORPUS_WORDS = 50_000
 
 #: Common words of passwords and placeholders, most common first (fixed list).
 WORDS = (
@@ -35,82 +39,145 @@ WORDS = (
     "banana cheese money family friend angel baby mother father john david robert anna maria daniel thomas "
     "hunter ranger buster harley cowboy eagle thunder matrix corvette mustang phoenix yankee"
 ).split()
-_RANK = {w: i + 1 for i, w in enumerate(WORDS)}
-_LONGEST = max(map(len, WORDS))
 #: Usual stand-ins of letters (fixed values).
 _LEET = str.maketrans({"4": "a", "@": "a", "3": "e", "1": "i", "!": "i", "0": "o", "$": "s", "5": "s", "7": "t"})
-#: Rows of a keyboard, and the alphabet, whose neighbours make a walk (fixed values).
-LONGEST_WALK = 32
-ROWS = ("`1234567890-=", "qwertyuiop[]", "asdfghjkl;'", "zxcvbnm,./")
-_DATE = re.compile(r"(?:19|20)\d\d([-/._]?)(?:0?[1-9]|1[0-2])\1(?:0?[1-9]|[12]\d|3[01])|(?:0?[1-9]|[12]\d|3[01])([-/._]?)(?:0?[1-9]|1[0-2])\2(?:19|20)?\d\d|(?:19|20)\d\d", re.A)
+#: Rows of a keyboard, each half a key further right than the one above, and its symbols with shift (fixed values).
+ROWS = ("`1234567890-=", " qwertyuiop[]", " asdfghjkl;'", " zxcvbnm,./")
+SHIFTED = str.maketrans("~!@#$%^&*()_+{}:\"<>?", "`1234567890-=[];',./")
+#: Costs (log10): a brute-force character, the choice of a kind of pattern, a doubling of a length, a capital, a stand-in.
+BRUTE, CHOICE, DOUBLING, CASE, STAND_IN = 1.0, 0.3, math.log10(2), math.log10(2), 0.6
+PERIODS = (1, 2, 3, 4)
+_YEAR, _DATE = re.compile(r"(?:19|20)\d\d", re.A), re.compile(
+    r"(?:19|20)\d\d([-/._]?)(?:0?[1-9]|1[0-2])\1(?:0?[1-9]|[12]\d|3[01])|(?:0?[1-9]|[12]\d|3[01])([-/._]?)(?:0?[1-9]|1[0-2])\2(?:19|20)?\d\d", re.A
+)
+DATE_SIZES = range(4, 11)
 
 
-def _neighbours() -> dict[str, set[str]]:
-    at = {c: (r, i) for r, row in enumerate(ROWS) for i, c in enumerate(row)}
-    near = {c: {d for d, (s, j) in at.items() if (s, j) != (r, i) and abs(s - r) <= 1 and (abs(j - i) == 1 if s == r else j - i in (0, (-1 if s > r else 1)))} for c, (r, i) in at.items()}
-    letters = "abcdefghijklmnopqrstuvwxyz"
-    for a, b in zip(letters, letters[1:], strict=False):
-        near[a].add(b)
-        near[b].add(a)
-    return near
+def _board() -> dict[tuple[str, str], tuple[int, int]]:
+    """Direction of each step between neighbouring keys."""
+    at = {c: (r, i) for r, row in enumerate(ROWS) for i, c in enumerate(row) if c != " "}
+    around = {(0, 1), (0, -1), (1, 0), (1, -1), (-1, 0), (-1, 1)}
+    return {(a, b): d for a, (r, i) in at.items() for b, (s, j) in at.items() for d in [(s - r, j - i)] if d in around}
 
 
-_NEAR = _neighbours()
-_DEGREE = sum(map(len, _NEAR.values())) / len(_NEAR)
+_KEYS = _board()
+_TURN = 0.5 * math.log10(len(_KEYS) / sum(len(r.strip()) for r in ROWS))  # half of the neighbours of a key, on average
 
 
-def _spans_from(value: str, low: str, plain: str, i: int, until: list[int]):
-    """(end, log10 guesses, kind) of the patterns that begin at i; ``until``: end of the last repeat by period."""
-    n = len(value)
-    for j in range(i + 3, min(n, i + _LONGEST) + 1):
-        for text, more in ((low, 0.0), (plain, 0.6)):
-            word = text[i:j]
-            rank = _RANK.get(word) or _RANK.get(word[::-1])
-            if rank:
-                turned = 0.0 if word in _RANK else math.log10(2)
-                upper = sum(c.isupper() for c in value[i:j])
-                case = 0.0 if not upper else math.log10(2) if upper in (1, j - i) else math.log10(2) * min(upper, j - i - upper) + 0.3
-                yield j, math.log10(rank + 1) + case + turned + (more if text[i:j] != low[i:j] else 0), "word"
-    found = _DATE.match(value, i)
-    if found and found.end() - i >= 4:
-        yield found.end(), math.log10(119) if found.end() - i == 4 else math.log10(365 * 119) + (0.6 if (found[1] or found[2]) else 0), "date"
-    for period in (1, 2, 3, 4):
-        if i >= until[period] and i + 2 * period <= n and value[i : i + period] == value[i + period : i + 2 * period]:
-            j = i + 2 * period
-            while value[j : j + period] == value[i : i + period] and j + period <= n:
-                j += period
-            until[period] = j
-            if j - i >= 3:
-                yield j, period * 1.0 + math.log10(j - i), "repeat"
-    j = i + 1
-    while j < min(n, i + LONGEST_WALK) and low[j] in _NEAR.get(low[j - 1], ()):
-        j += 1
-    for end in {j, min(j, i + 4)}:
-        if end - i >= 3:
-            turns = sum(ord(low[k + 1]) - ord(low[k]) != ord(low[k]) - ord(low[k - 1]) for k in range(i + 1, end - 1))
-            yield end, math.log10(len(_NEAR) * (end - i)) + 0.5 * math.log10(_DEGREE) * (1 + turns), "walk"
-
-
-def guess_cost(value: str) -> tuple[float, list[tuple[int, int, str]]]:
+def key_step(a: str, b: str) -> tuple[int, int] | None:
+    return _KEYS.get((a.lower().translate(SHIFTED), b.lower().translate(SHIFTED)))
+
+
+def letter_step(a: str, b: str) -> int | None:
+    a, b = a.lower(), b.lower()
+    return ord(b) - ord(a) if "a" <= a <= "z" and "a" <= b <= "z" and abs(ord(b) - ord(a)) == 1 else None
+
+
+#: Walks: over a keyboard, and along the alphabet.  (step between two characters, log10 of the starts)
+WALKS = ((key_step, math.log10(47)), (letter_step, math.log10(26)))
+
+
+def word_cost(part: str, ranks: dict[str, int]) -> float | None:
+    """Cost of a known word, also turned round, with capitals or with stand-ins; None for other parts."""
+    low = part.lower()
+    least = None
+    for text, more in ((low, 0.0), (low.translate(_LEET), STAND_IN)):
+        if more and text == low:
+            continue
+        for own, turned in ((text, 0.0), (text[::-1], math.log10(2))):
+            rank = ranks.get(own)
+            if rank is not None:
+                upper = sum(c.isupper() for c in part)
+                case = 0.0 if not upper else CASE if upper in (1, len(part)) else CASE * min(upper, len(part) - upper) + CHOICE
+                cost = math.log10(rank + 1) + turned + case + more
+                least = cost if least is None else min(least, cost)
+    return least
+
+
+def date_cost(part: str) -> float | None:
+    if _YEAR.fullmatch(part):
+        return math.log10(119)
+    found = _DATE.fullmatch(part)
+    return None if not found else math.log10(365 * 119) + (STAND_IN if found[1] or found[2] else 0.0)
+
+
+class _Starts:
+    """The cheapest start of a segment that ends here, inside a run of which every part is a segment.
+
+    Its cost is that up to the start plus a doubling for each bit of its length; for each
+    number of bits a queue keeps the starts that may still win.
+    """
+
+    def __init__(self, least: int):
+        self.least, self.queues = least, []
+
+    def best(self, end: int, begin: int, key) -> tuple[float, int]:
+        found, low, k = (math.inf, -1), self.least, 0
+        while end - low >= begin:
+            high = (1 << low.bit_length()) - 1
+            if k == len(self.queues):
+                self.queues.append(deque())
+            queue, start = self.queues[k], end - low
+            value = key(start)
+            while queue and queue[-1][0] >= value:
+                queue.pop()
+            queue.append((value, start))
+            while queue[0][1] < max(begin, end - high):
+                queue.popleft()
+            found = min(found, (queue[0][0] + DOUBLING * low.bit_length(), queue[0][1]))
+            low, k = high + 1, k + 1
+        return found
+
+
+@functools.lru_cache(maxsize=4)
+def _known(words: tuple[str, ...]) -> tuple[dict[str, int], int]:
+    ranks: dict[str, int] = {}
+    for own in (WORDS, words):
+        for i, w in enumerate(own):
+            ranks[w] = min(ranks.get(w, i + 1), i + 1)
+    return ranks, max(map(len, ranks))
+
+
+def guess_cost(value: str, words: tuple[str, ...] = ()) -> tuple[float, list[tuple[int, int, str]]]:
     """Least log10 number of guesses over all segmentations of a value, and that segmentation.
 
-    A brute-force character costs 1 (ten guesses); every further segment that is a pattern
-    costs 0.3 more, for the choice of its kind.  A repeat begins only where none of its
-    period runs already, and a walk has ``LONGEST_WALK`` keys at most, so time grows in
-    proportion to the length.
+    Segments: brute-force characters (ten guesses each); known words of three letters or
+    more (``WORDS`` and ``words``, by rank); dates and years; repeats of one to four characters; walks
+    of three keys or more.  Repeats and walks cost a doubling for each bit of their length, walks also
+    for turns.  Every end of every pattern is considered; time grows as n log n.
     """
+    ranks, longest = _known(words)
     n = len(value)
-    low = value.lower() if len(value.lower()) == n else value
-    plain = low.translate(_LEET)
-    best = [0.0] + [math.inf] * n
-    back: list[tuple[int, str]] = [(0, "")] * (n + 1)
-    until = [0] * 5
-    for i in range(n):
-        if best[i] + 1.0 < best[i + 1]:
-            best[i + 1], back[i + 1] = best[i] + 1.0, (i, "brute")
-        for j, cost, kind in _spans_from(value, low, plain, i, until):
-            if best[i] + cost + 0.3 < best[j]:
-                best[j], back[j] = best[i] + cost + 0.3, (i, kind)
+    best, back = [0.0] + [math.inf] * n, [(0, "")] * (n + 1)
+    repeats = [(p, _Starts(max(2 * p, 3)), [0]) for p in PERIODS]
+    walks = [(step, starts, _Starts(3), [0], [0] * (n + 1), [None]) for step, starts in WALKS]
+    for j in range(1, n + 1):
+        found = (best[j - 1] + BRUTE, j - 1, "brute")
+        for i in range(max(0, j - longest), j - 2):
+            cost = word_cost(value[i:j], ranks)
+            if cost is not None:
+                found = min(found, (best[i] + cost + CHOICE, i, "word"))
+        if value[j - 1].isdigit():
+            for size in DATE_SIZES:
+                if size <= j and (cost := date_cost(value[j - size : j])) is not None:
+                    found = min(found, (best[j - size] + cost + CHOICE, j - size, "date"))
+        for p, starts, run in repeats:
+            if j > p and value[j - 1] != value[j - 1 - p]:
+                run[0] = j - p
+                starts.queues.clear()
+            cost, i = starts.best(j, run[0], best.__getitem__)
+            found = min(found, (cost + p * BRUTE + CHOICE, i, "repeat"))
+        for step, first, starts, run, turns, way in walks:
+            if j > 1:
+                now = step(value[j - 2], value[j - 1])
+                turns[j - 1] = turns[j - 2] + (way[0] is not None and now != way[0])
+                way[0] = now
+                if now is None:
+                    run[0] = j - 1
+                    starts.queues.clear()
+            cost, i = starts.best(j, run[0], lambda k: best[k] - _TURN * turns[k + 1])
+            found = min(found, (cost + first + _TURN * (1 + turns[j - 1]) + CHOICE, i, "walk"))
+        best[j], back[j] = found[0], found[1:]
     parts, at = [], n
     while at:
         i, kind = back[at]
@@ -122,6 +189,13 @@ def guess_cost(value: str) -> tuple[float, list[tuple[int, int, str]]]:
     return best[n], parts[::-1]
 
 
+def ranked_words(docs: DataFrame, text_col: str = "text", most: int = CORPUS_WORDS) -> tuple[str, ...]:
+    """The most frequent words of 3 to 24 letters of a corpus, counted over all texts (ties by the word)."""
+    word = F.explode(F.split(F.lower(F.col(text_col)), r"[^\p{L}]+"))
+    counts = docs.select(word.alias("w")).filter(F.length("w").between(3, 24)).groupBy("w").agg(F.count(F.lit(1)).alias("n")).filter("n > 1")
+    return tuple(r["w"] for r in counts.orderBy(F.desc("n"), "w").limit(most).collect())
+
+
 def base_spans(text: str) -> list[tuple[int, int, int]]:
     """(start, end, kind number) of the base patterns; failing matches are dropped after matching."""
     out = []
@@ -134,7 +208,7 @@ def base_spans(text: str) -> list[tuple[int, int, int]]:
     return out
 
 
-def scan(text: str, least_cost: float = LEAST_COST) -> tuple[list[tuple[int, int, int]], list[tuple[int, int, int]], float]:
+def scan(text: str, least_cost: float = LEAST_COST, words: tuple[str, ...] = ()) -> tuple[list[tuple[int, int, int]], list[tuple[int, int, int]], float]:
     """Base spans, all spans, and the largest guess cost of a credential value in the text."""
     if not text:
         return [], [], 0.0
@@ -146,17 +220,19 @@ def scan(text: str, least_cost: float = LEAST_COST) -> tuple[list[tuple[int, int
         base = [(m.start(), m.end(), 1) for m in BASE[1][1].finditer(text) if m.end() - m.start() >= 16] if "AKIA" in text else []
         base += [(m.start(), m.end(), 2) for m in _HEX.finditer(text)]
     base.sort(key=lambda s: (s[0], s[2], s[1]))
-    added, most = [], 0.0
+    added, most, reach, k = [], 0.0, -1, 0
     if hinted:
-        taken = [(s, e) for s, e, k in base]
         for m in CONTEXT.finditer(text):
             value = m[1].rstrip(".:)]}")
             if len(value) < LEAST_LENGTH:
                 continue
-            cost, _ = guess_cost(value)
+            cost, _ = guess_cost(value, words)
             most = max(most, cost)
             start, end = m.start(1), m.start(1) + len(value)
-            if cost >= least_cost and not any(s <= start and end <= e for s, e in taken):
+            while k < len(base) and base[k][0] <= start:  # the furthest end of the base spans that begin before
+                reach = max(reach, base[k][1])
+                k += 1
+            if cost >= least_cost and reach < end:
                 added.append((start, end, 3))
     return base, sorted(base + added, key=lambda s: (s[0], s[2], s[1])), most
 
@@ -168,15 +244,17 @@ def named(spans) -> str:
     return ",".join(f"{KINDS[k]}:{s}:{e}" for s, e, k in spans)
 
 
-def scan_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", least_cost: float = LEAST_COST) -> DataFrame:
+def scan_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", least_cost: float = LEAST_COST, words: tuple[str, ...] | None = None) -> DataFrame:
     """Secrets of every whole text: id, n_assign, n_access, n_hex, n_guess, base_sha256, spans, max_cost.
 
     Spans are ``kind:start:end`` in code points.  The three base kinds always stay; ``guess``
     adds values in a credential context whose cheapest segmentation into words, dates,
     repeats, keyboard walks and brute-force stretches needs at least 10**least_cost guesses.
-    Null and empty texts have no spans (base_sha256 is that of the empty string).  Repeated
-    rows each give a row; an empty table gives none.  No shuffle.
+    ``words``: words that a guesser tries, best first; None counts them over all texts (one pass, of which
+    ``CORPUS_WORDS`` come to the driver).  Null and empty texts have no spans (base_sha256 is that of the empty string).
+    Repeated rows each give a row; an empty table gives none.  The scan itself has no shuffle.
     """
+    words = ranked_words(docs, text_col) if words is None else tuple(words)
     base = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
     fields = "n_assign long, n_access long, n_hex long, n_guess long, base_sha256 string, spans string, max_cost double"
 
@@ -188,7 +266,7 @@ def scan_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
         for batch in batches:
             rows = []
             for t in batch.column(1):
-                own, every, cost = scan(t.as_py() or "", least_cost)
+                own, every, cost = scan(t.as_py() or "", least_cost, words)
                 count = [sum(k == x for _, _, x in every) for k in range(4)]
                 rows.append((*count, hashlib.sha256(named(own).encode()).hexdigest(), named(every), cost))
             columns = list(zip(*rows, strict=True)) if rows else [[]] * len(names)

@@ -7,7 +7,7 @@ import re
 import pytest
 
 import corpus_pipeline
-from linkwhy.llm import codec, common, langid, simhash
+from linkwhy.llm import codec, common, langid
 from linkwhy.llm.bpe import default_vocabulary
 
 SF = "/root/testdata/sf0.001"
@@ -40,23 +40,6 @@ def test_language_stage_keeps_what_the_network_accepts(outputs):
     assert all(before[r.doc_id] == r for r in kept.collect())
 
 
-def test_near_dedup_stage_keeps_one_of_each_component(outputs):
-    rows = [(r.doc_id, simhash.fingerprint(r.text)) for r in outputs[2].collect()]
-    top = {i: i for i, _ in rows}
-
-    def find(x):
-        while top[x] != x:
-            x = top[x]
-        return x
-
-    for n, (a, x) in enumerate(rows):
-        for b, y in rows[:n]:
-            if (x ^ y).bit_count() <= 3:
-                top[max(find(a), find(b))] = min(find(a), find(b))
-    kept = [find(r.doc_id) for r in outputs[3].collect()]
-    assert sorted(kept) == sorted({find(i) for i, _ in rows})
-
-
 def near(text):
     w = re.findall(r"[^\x20\x09-\x0D]+", re.sub("[A-Z]", lambda m: m[0].lower(), text or ""))
     return {tuple(w[i : i + 5]) for i in range(max(1, len(w) - 4))} if w else set()
