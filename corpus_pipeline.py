@@ -7,9 +7,10 @@ returns a DataFrame, which is written as Parquet and read again as the next one'
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from linkwhy.llm import codec, decontaminate, langid, line_dedup, near_copies
-from linkwhy.llm.common import crc_mod, settle_table, table
+from linkwhy.llm.common import crc_mod, scratch, settle_table, table
 
 
 def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -18,8 +19,11 @@ def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def line_dedup_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Records of recurring templates are cut out of the texts; the first of each stays."""
-    return line_dedup.drop_recurring(docs)
+    """Records of recurring templates are cut out of the texts; the first of each stays.  n_chars, where there is one, follows."""
+    out = line_dedup.drop_recurring(docs)
+    if "n_chars" not in docs.columns:
+        return out
+    return out.withColumn("n_chars", F.coalesce(F.length("text").cast(docs.schema["n_chars"].dataType), F.col("n_chars")))
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -40,7 +44,7 @@ def bpe_codec(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 STAGES = [
     ("language ID", language_id),
     ("line dedup", line_dedup_stage),
-    ("near-dedup", near_dedup),
+    ("SimHash near-dedup", near_dedup),
     ("benchmark decontamination", decontamination),
     ("BPE encoding and decoding", bpe_codec),
 ]
@@ -50,7 +54,9 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Rows of the last stage.  What a stage settles for itself is deleted when its output is written."""
     docs = table(spark, sf_dir, "documents")
     for _, stage in STAGES[:-1]:
-        docs = settle_table(stage(spark, docs, sf_dir))
+        with scratch():
+            docs = settle_table(stage(spark, docs, sf_dir), keep=True)
     return STAGES[-1][1](spark, docs, sf_dir)
