@@ -76,18 +76,19 @@ def masked(record: Column) -> Column:
 
 
 def _records(docs: DataFrame, id_col: str, text_col: str, rules: Rules) -> DataFrame:
-    """(id, th, i, line, n, leaf, tpl, shape): a row for each record long enough to recur.
+    """(id, th, own, i, line, n, leaf, tpl, shape): a row for each record long enough to recur; own: tokens of its text.
 
     The number of tokens, the leaf and the template are found on the string; no record is
     cut into tokens here.
     """
-    lists = docs.select(F.col(id_col).alias("id"), F.xxhash64(text_col).alias("th"), record_list(F.col(text_col)).alias("records"))
-    each = lists.select("id", "th", F.posexplode("records").alias("i", "record"))
+    own = F.octet_length(text_col) - F.octet_length(F.translate(text_col, " \n", "")) + 1
+    lists = docs.select(F.col(id_col).alias("id"), F.xxhash64(text_col).alias("th"), own.alias("own"), record_list(F.col(text_col)).alias("records"))
+    each = lists.select("id", "th", "own", F.posexplode("records").alias("i", "record"))
     each = each.filter(F.octet_length("record") > 2 * rules.min_line_tokens)
-    each = each.select("id", "th", "i", F.col("record").endswith("\n").alias("line"), F.rtrim(masked(F.col("record")), F.lit(" \n")).alias("shape"))
+    each = each.select("id", "th", "own", "i", F.col("record").endswith("\n").alias("line"), F.rtrim(masked(F.col("record")), F.lit(" \n")).alias("shape"))
     n = F.octet_length("shape") - F.octet_length(F.replace("shape", F.lit(" "), F.lit(""))) + 1
     each = each.withColumn("n", n).filter((F.col("n") >= rules.min_tokens) | (F.col("line") & (F.col("n") >= rules.min_line_tokens)))
-    return each.select("id", "th", "i", "line", "n", F.xxhash64("n", F.substring_index("shape", " ", rules.depth)).alias("leaf"), F.xxhash64("shape").alias("tpl"), "shape")
+    return each.select("id", "th", "own", "i", "line", "n", F.xxhash64("n", F.substring_index("shape", " ", rules.depth)).alias("leaf"), F.xxhash64("shape").alias("tpl"), "shape")
 
 
 def _texts(df: DataFrame, keys: list[str], *more: Column) -> DataFrame:
@@ -97,11 +98,10 @@ def _texts(df: DataFrame, keys: list[str], *more: Column) -> DataFrame:
 
 
 def recurring(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", rules: Rules = Rules()) -> DataFrame:
-    """(id, th, gone, weak, spans, words): what ``drop_recurring`` takes from each document that has repeated records.
+    """(id, th, flags): what ``drop_recurring`` takes from each document that has repeated records, by place.
 
-    gone: places of records of recurring templates.  weak: places in long passages that only
-    two documents share.  spans: first and last place of each long passage, whose short
-    records go too.  words: tokens of all repeated records.
+    1: the record goes.  2: it lies inside a long passage that goes, and goes too if it is short.  0 and
+    places beyond the end: it stays.
     """
     # The shapes are kept beside the hashes, so that a second look need not parse the texts again.
     thin = settle_table(_records(docs, id_col, text_col, rules).withColumn("shape", F.when(F.col("n") >= rules.min_tokens, F.col("shape"))))
@@ -120,29 +120,28 @@ def recurring(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", r
 
     pairs = equal.filter(long & ~recurs & (F.col("texts") > 1)).select("tpl").join(loose.select("tpl"), "tpl", "left_anti").select("tpl", F.col("tpl").alias("template"))
     named = settle_table(plain.unionByName(loose).withColumn("weak", F.lit(False)).unionByName(pairs.withColumn("weak", F.lit(True))))
-    hits = settle_table(join_unique(thin.select("id", "th", "i", "n", "tpl"), named, ["tpl"], ["id", "i"]).drop("tpl"))
+    hits = settle_table(join_unique(thin.select("id", "th", "own", "i", "n", "tpl"), named, ["tpl"], ["id", "i"]).drop("tpl"))
     first = hits.groupBy("template").agg(F.min(F.struct("id", "i")).alias("first"))
     behind = join_unique(hits, first, ["template"], ["id", "i"])
     behind = behind.filter(~(F.col("first.id").eqNullSafe(F.col("id")) & (F.col("first.i") == F.col("i"))))
-    return _passages(behind.groupBy("id", "th", "i").agg(F.max("n").alias("n"), F.min("weak").alias("weak")), rules)
+    return _passages(behind.groupBy("id", "th", "i").agg(F.max("n").alias("n"), F.max("own").alias("own"), F.min("weak").alias("weak")), rules)
 
 
 def _passages(behind: DataFrame, rules: Rules) -> DataFrame:
-    """Repeated records (id, th, i, n, weak) gathered to passages of neighbours, and those by document."""
-    turn = Window.partitionBy("id", "th").orderBy("i")
-    begins = F.coalesce((F.col("i") - F.lag("i").over(turn) > rules.gap).cast("int"), F.lit(1))
-    runs = behind.withColumn("begins", begins).withColumn("run", F.sum("begins").over(turn))
-    runs = runs.groupBy("id", "th", "run").agg(
-        F.sum("n").alias("words"), F.min("i").alias("lo"), F.max("i").alias("hi"), F.max("weak").alias("some_weak"),
-        F.collect_list(F.when(~F.col("weak"), F.col("i"))).alias("strong"), F.collect_list(F.when(F.col("weak"), F.col("i"))).alias("weak"),
-    )
+    """Repeated records (id, th, i, n, own, weak) as passages of neighbours, and the flags of each document."""
+    text = Window.partitionBy("id", "th")
+    begins = F.coalesce((F.col("i") - F.lag("i").over(text.orderBy("i")) > rules.gap).cast("int"), F.lit(1))
+    runs = behind.withColumn("begins", begins).withColumn("run", F.sum("begins").over(text.orderBy("i")))
+    run = Window.partitionBy("id", "th", "run")
+    runs = runs.withColumns({"words": F.sum("n").over(run), "some_weak": F.max("weak").over(run), "all": F.sum("n").over(text)})
+    carrier = F.col("all") <= (1 - rules.near_copy) * F.col("own")
     long = F.col("words") >= rules.passage_tokens
-    return runs.groupBy("id", "th").agg(
-        F.flatten(F.collect_list("strong")).alias("gone"),
-        F.flatten(F.collect_list(F.when(long, F.col("weak")))).alias("weak"),
-        F.collect_list(F.when(long, F.struct("lo", "hi", "some_weak"))).alias("spans"),
-        F.sum("words").alias("words"),
-    )
+    gone = runs.filter(~F.col("weak") | (long & carrier))
+    gone = gone.withColumn("inside", long & (carrier | ~F.col("some_weak")) & (F.col("begins") == 0))
+    gone = gone.groupBy("id", "th").agg(F.sort_array(F.collect_list(F.struct("i", "inside"))).alias("gone"))
+    before = lambda k: F.coalesce(F.get("gone", k - 1)["i"], F.lit(-1))
+    flags = F.transform("gone", lambda g, k: F.concat(F.array_repeat(F.when(g["inside"], 2).otherwise(0), g["i"] - before(k) - 1), F.array(F.lit(1))))
+    return gone.select("id", "th", F.flatten(flags).alias("flags"))
 
 
 def token_count(record: Column) -> Column:
@@ -180,29 +179,23 @@ def drop_recurring(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     text is only a longer row.  Templates and texts are compared by 64-bit hashes: a
     collision can make two records look repeated, which drops nothing unless their neighbours repeat too.
     """
-    gone = recurring(docs, id_col, text_col, rules).select(F.col("id").alias("__id"), F.col("th").alias("__th"), "gone", "weak", "spans", "words")
+    gone = recurring(docs, id_col, text_col, rules).select(F.col("id").alias("__id"), F.col("th").alias("__th"), F.col("flags").alias("__flags"))
     base = docs.select("*", F.xxhash64(text_col).alias("__h"))
-    gone = gone.select(F.col("__id"), F.col("__th"), F.struct("gone", "weak", "spans", "words").alias("__drop"))
     joined = base.join(gone, base[id_col].eqNullSafe(gone["__id"]) & (base["__h"] == gone["__th"]), "left")
     text = F.col(text_col)
-    own = F.octet_length(text) - F.octet_length(F.translate(text, " \n", "")) + 1  # about the tokens of the text
-    carrier = F.col("__drop.words") <= (1 - rules.near_copy) * own
-    records = record_list(text)
 
     def stays(x: Column, i: Column) -> Column:
-        inside = F.exists("__drop.spans", lambda s: (s["lo"] < i) & (i < s["hi"]) & (carrier | ~s["some_weak"]))
-        out = F.array_contains("__drop.gone", i) | (carrier & F.array_contains("__drop.weak", i)) | ((token_count(x) < rules.min_tokens) & inside)
-        return ~out
+        flag = F.coalesce(F.get("__flags", i), F.lit(0))
+        return (flag == 0) | ((flag == 2) & (token_count(x) >= rules.min_tokens))
 
-    left = F.filter(records, stays)
-    joined = joined.withColumn("__left", F.when(F.col("__drop").isNotNull(), left))
-    kept = F.when(F.col("__drop").isNull(), text).otherwise(F.array_join("__left", ""))  # no record gone: the text as it was
+    joined = joined.withColumn("__left", F.when(F.col("__flags").isNotNull(), F.filter(record_list(text), stays)))
+    kept = F.when(F.col("__flags").isNull(), text).otherwise(F.array_join("__left", ""))  # no record gone: the text as it was
     if report:
         n = F.coalesce(record_count(text), F.lit(0))
         return joined.select(
             F.col(id_col),
             n.alias("n_records"),
-            F.when(F.col("__drop").isNull(), 0).otherwise(n - F.size("__left")).alias("n_dropped"),
+            F.when(F.col("__flags").isNull(), 0).otherwise(n - F.size("__left")).alias("n_dropped"),
             kept.alias("text"),
         )
     return joined.select(*(kept.alias(c) if c == text_col else F.col(c) for c in docs.columns))
