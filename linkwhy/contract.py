@@ -12,13 +12,12 @@ from itertools import permutations
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .functions.udfs import is_minimal
 from .operators import judge, render
 from .operators import measures as M
 from .operators import rank as R
 from .operators.grow import grow_enumerate
 from .operators.match import match, position_sql
-from .operators.pairs import connectedness, random_pairs, session_pairs
+from .operators.pairs import connectedness, random_pairs, sample_pairs, session_pairs
 from .operators.paths import path_patterns, paths
 from .plans import engine
 from .plans.runs import settle
@@ -26,9 +25,10 @@ from .sources.kb import KIND, KINDS, KnowledgeGraph, build_kb, eid, toy_ids
 from .sources.tables import load
 from .streaming import edges as stream
 
-#: The window of events that gives pairs of low and medium connectedness, and the number of pairs.
+#: Five-node explanations between users run on this window of events: over all 30 days of sf0.01 a pair of users has about
+#: 60,000 paths of four edges, and the forward strategy builds 14 million partial ones for it.
 UNTIL = "2024-01-04"
-N_PAIRS = 8
+N_PAIRS = 30
 START_USERS, SEED = 5, 7
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -100,14 +100,14 @@ def kb_edges_commerce(spark, sf_dir):
 @query(
     "kb_edges_content",
     f"""WITH copies AS (SELECT doc_id, min(doc_id) OVER (PARTITION BY text) AS first FROM documents),
-    v AS (SELECT vec_id, label, CAST(embedding AS DOUBLE[]) AS e, list_transform(embedding[1:8], lambda x: x > 0) AS cell FROM embeddings)
+    v AS (SELECT vec_id, label, CAST(embedding AS DOUBLE[]) AS e FROM embeddings)
     SELECT {_no("document")} + doc_id AS src, 'in_lang' AS rel, {_no("lang")} + {_md5("lang")} AS dst, true AS directed FROM documents WHERE lang IS NOT NULL
     UNION SELECT {_no("document")} + doc_id, 'from_source', {_no("source")} + {_md5("source")}, true FROM documents WHERE source IS NOT NULL
     UNION SELECT {_no("document")} + doc_id, 'graded', {_no("grade")} + quality, true FROM labels WHERE quality IS NOT NULL
     UNION SELECT {_no("document")} + first, 'near_copy', {_no("document")} + doc_id, false FROM copies WHERE first < doc_id
     UNION SELECT {_no("page")} + page_id, 'hosted_by', {_no("host")} + {_md5("regexp_extract(url, '^[a-z]+://([^/]+)', 1)")}, true FROM pages
     UNION SELECT {_no("vector")} + vec_id, 'labelled', {_no("label")} + label, true FROM embeddings
-    UNION SELECT {_no("vector")} + x.vec_id, 'similar', {_no("vector")} + y.vec_id, false FROM v x JOIN v y ON x.label = y.label AND x.cell = y.cell AND x.vec_id < y.vec_id
+    UNION SELECT {_no("vector")} + x.vec_id, 'similar', {_no("vector")} + y.vec_id, false FROM v x JOIN v y ON x.label = y.label AND x.vec_id < y.vec_id
         WHERE list_dot_product(x.e, y.e) >= 0.5 * sqrt(list_dot_product(x.e, x.e)) * sqrt(list_dot_product(y.e, y.e))
     UNION SELECT {_no("conversation")} + conv_id, 'has_role', {_no("role")} + {_md5("role")}, true FROM conversations""",
 )
@@ -139,16 +139,19 @@ _FOUR = """JOIN edges a ON a.src = p.s JOIN edges b ON b.dst = a.dst AND b.src <
 PATHS_SQL = f"WITH {_edges_sql()}, {PAIRS_SQL}"
 
 
-def _path_rows(spark, sf_dir, length):
-    kb, pairs = _setting(spark, sf_dir)
+ALL_PATHS_SQL = f"WITH {_edges_sql(None)}, {PAIRS_SQL}"
+
+
+def _path_rows(spark, sf_dir, length, until=None):
+    kb, pairs = _setting(spark, sf_dir, until)
     return paths(kb, pairs, length).select("pair_id", F.array_join(F.transform("nodes", lambda x: x.cast("string")), ",").alias("nodes"), F.array_join("sig", ",").alias("sig"))
 
 
 _L2 = f"SELECT p.pair_id, concat_ws(',', p.s, a.dst, p.e) AS nodes, '>' || a.rel || ',<' || b.rel AS sig FROM pairs p {_TWO}"
 _L4 = f"SELECT p.pair_id, concat_ws(',', p.s, a.dst, b.src, c.dst, p.e), '>' || a.rel || ',<' || b.rel || ',>' || c.rel || ',<' || d.rel FROM pairs p {_FOUR}"
-query("path_instances_l2", f"{PATHS_SQL} {_L2}")(lambda spark, sf_dir: _path_rows(spark, sf_dir, 2))
-query("path_instances_l3", f"{PATHS_SQL} {_L2}")(lambda spark, sf_dir: _path_rows(spark, sf_dir, 3))
-query("path_instances_l4", f"{PATHS_SQL} {_L2} UNION ALL {_L4}")(lambda spark, sf_dir: _path_rows(spark, sf_dir, 4))
+query("path_instances_l2", f"{ALL_PATHS_SQL} {_L2}")(lambda spark, sf_dir: _path_rows(spark, sf_dir, 2))
+query("path_instances_l3", f"{ALL_PATHS_SQL} {_L2}")(lambda spark, sf_dir: _path_rows(spark, sf_dir, 3))
+query("path_instances_l4", f"{PATHS_SQL} {_L2} UNION ALL {_L4}")(lambda spark, sf_dir: _path_rows(spark, sf_dir, 4, UNTIL))
 
 
 def _least_text(edges: list[tuple[str, str, str]]) -> str:
@@ -175,17 +178,48 @@ def _pattern_rows(spark, sf_dir, strategy, **options):
 
 for _name in ("forward", "bidirectional", "activation", "label_first"):
     query(f"path_patterns_{_name}", PATTERNS_SQL)(lambda spark, sf_dir, s=_name: _pattern_rows(spark, sf_dir, s))
-query("path_patterns_activation_literal", PATTERNS_SQL)(lambda spark, sf_dir: _pattern_rows(spark, sf_dir, "activation", batch=100_000))
+query("path_patterns_activation_literal", PATTERNS_SQL)(lambda spark, sf_dir: _pattern_rows(spark, sf_dir, "activation", batch=1_000))
+
+
+#: Simple paths of one to four edges between pairs (pair_id, s, e) over ``ways`` (u, rel, v), counted from the middle.
+COUNT_PATHS_SQL = """ways AS (SELECT src AS u, rel, dst AS v FROM edges UNION ALL SELECT dst, rel || '-', src FROM edges),
+    s1 AS (SELECT p.pair_id, p.s, p.e, x.v FROM pairs p JOIN ways x ON x.u = p.s),
+    e1 AS (SELECT p.pair_id, p.s, p.e, x.v FROM pairs p JOIN ways x ON x.u = p.e WHERE x.v <> p.s),
+    s2 AS (SELECT h.pair_id, h.e, h.v AS a, x.v FROM s1 h JOIN ways x ON x.u = h.v WHERE h.v <> h.e AND x.v <> h.s AND x.v <> h.e),
+    e2 AS (SELECT h.pair_id, h.v AS a, x.v FROM e1 h JOIN ways x ON x.u = h.v WHERE x.v <> h.s AND x.v <> h.e),
+    m AS (SELECT pair_id, v, count(*) AS n FROM e1 GROUP BY ALL),
+    f2 AS (SELECT pair_id, v, count(*) AS n FROM s2 GROUP BY ALL), g2 AS (SELECT pair_id, v, count(*) AS n FROM e2 GROUP BY ALL),
+    same AS (SELECT x.pair_id, x.n * y.n AS n FROM (SELECT pair_id, a, v, count(*) AS n FROM s2 GROUP BY ALL) x JOIN (SELECT pair_id, a, v, count(*) AS n FROM e2 GROUP BY ALL) y USING (pair_id, a, v)),
+    three AS (SELECT x.pair_id, sum(x.n * m.n) AS n FROM f2 x JOIN m USING (pair_id, v) GROUP BY x.pair_id),
+    found AS (
+        SELECT pair_id, count(*) AS n FROM s1 WHERE v = e GROUP BY pair_id
+        UNION ALL SELECT x.pair_id, sum(m.n) FROM s1 x JOIN m ON m.pair_id = x.pair_id AND m.v = x.v GROUP BY x.pair_id
+        UNION ALL SELECT pair_id, n FROM three
+        UNION ALL SELECT x.pair_id, sum(x.n * y.n) FROM f2 x JOIN g2 y USING (pair_id, v) GROUP BY x.pair_id
+        UNION ALL SELECT pair_id, -sum(n) FROM same GROUP BY pair_id),
+    counted AS (SELECT p.pair_id, p.s, p.e, CAST(coalesce(sum(f.n), 0) AS BIGINT) AS n_paths FROM pairs p LEFT JOIN found f USING (pair_id) GROUP BY ALL),
+    banded AS (SELECT pair_id, s AS "start", e AS "end", n_paths, CASE WHEN n_paths <= 30 THEN 'low' WHEN n_paths <= 100 THEN 'medium' ELSE 'high' END AS band FROM counted)"""
+#: Customers drawn as candidates for the pairs of three bands, and pairs of each band.
+CANDIDATES, PER_BAND = 120, 10
+
+
+def _customers_sql(n: int) -> str:
+    draw = lambda tag, c: f"{c} AS (SELECT row_number() OVER (ORDER BY md5('{SEED}:{tag}:' || eid)) AS pair_id, eid AS {c} FROM people QUALIFY pair_id <= {n})"
+    return f"people AS (SELECT DISTINCT src AS eid FROM edges WHERE rel = 'lives_in'), {draw('s', 's')}, {draw('e', 'e')}, pairs AS (SELECT pair_id, s, e FROM s JOIN e USING (pair_id) WHERE s <> e)"
+
+
+@query("pair_connectedness", f"WITH {COMMERCE_SQL}, {_customers_sql(N_PAIRS)}, {COUNT_PATHS_SQL} SELECT * FROM banded")
+def pair_connectedness(spark, sf_dir):
+    kb = build_kb(spark, sf_dir, "commerce").pinned()
+    return connectedness(kb, settle(random_pairs(kb, N_PAIRS, SEED, "customer", "customer")))
 
 
-@query(
-    "pair_connectedness",
-    f"""{PATHS_SQL}, found AS (SELECT p.pair_id FROM pairs p {_TWO} UNION ALL SELECT p.pair_id FROM pairs p {_FOUR}),
-    n AS (SELECT p.pair_id, any_value(p.s) AS s, any_value(p.e) AS e, count(f.pair_id) AS n_paths FROM pairs p LEFT JOIN found f USING (pair_id) GROUP BY p.pair_id)
-    SELECT pair_id, s AS "start", e AS "end", n_paths, CASE WHEN n_paths <= 30 THEN 'low' WHEN n_paths <= 100 THEN 'medium' ELSE 'high' END AS band FROM n""",
-)
-def pair_connectedness(spark, sf_dir):
-    return connectedness(*_setting(spark, sf_dir))
+@query("pairs_by_band", f"""WITH {COMMERCE_SQL}, {_customers_sql(CANDIDATES)}, {COUNT_PATHS_SQL}
+    SELECT pair_id, "start", "end", n_paths, band FROM banded QUALIFY row_number() OVER (PARTITION BY band ORDER BY pair_id) <= {PER_BAND}""")
+def pairs_by_band(spark, sf_dir):
+    """Ten pairs of low, ten of medium and ten of high connectedness, as far as the candidates have them."""
+    kb = build_kb(spark, sf_dir, "commerce").pinned()
+    return sample_pairs(kb, PER_BAND, SEED, 4, CANDIDATES, "customer", "customer")
 
 
 # --- explanations of three nodes: a closed form exists ---------------------------------------
@@ -267,6 +301,26 @@ def match_selected(spark, sf_dir):
     return match(kb, keys, "pair", pairs).groupBy("pair_id", "pattern_key").agg(F.count(F.lit(1)).alias("n_instances"))
 
 
+def _match_in(semantics: str) -> str:
+    """The selected patterns where variables may coincide: never with a target (homomorphic), or with anything (sql)."""
+    out = []
+    for key in SELECTED:
+        sql = _match_sql(key)
+        kept = [c for c in sql.partition(" WHERE ")[2].rpartition(" GROUP BY ")[0].split(" AND ") if " <> " not in c or (semantics == "homomorphic" and " <> t" in c and c.startswith("p."))]
+        out.append(f"{sql.partition(' WHERE ')[0]} WHERE {' AND '.join(kept)} GROUP BY p.pair_id")
+    return f"WITH {_edges_sql()}, {PAIRS_SQL} {' UNION ALL '.join(out)}"
+
+
+def _match_rows(spark, sf_dir, semantics):
+    kb, pairs = _setting(spark, sf_dir)
+    keys = spark.createDataFrame([(k,) for k in SELECTED], "pattern_key string")
+    return match(kb, keys, "pair", pairs, semantics).groupBy("pair_id", "pattern_key").agg(F.count(F.lit(1)).alias("n_instances"))
+
+
+for _name in ("homomorphic", "sql"):
+    query(f"match_{_name}", _match_in(_name))(lambda spark, sf_dir, s=_name: _match_rows(spark, sf_dir, s))
+
+
 @query("explanations_n5_selected", f"WITH {_edges_sql()}, {PAIRS_SQL} {' UNION ALL '.join(map(_match_sql, SELECTED))}")
 def explanations_n5_selected(spark, sf_dir):
     kb, pairs = _setting(spark, sf_dir)
@@ -274,29 +328,121 @@ def explanations_n5_selected(spark, sf_dir):
     return expl.instances.filter(F.col("pattern_key").isin(list(SELECTED))).groupBy("pair_id", "pattern_key").agg(F.count(F.lit(1)).alias("n_instances"))
 
 
-@query("explanations_n5_minimal", f"WITH {_edges_sql()}, {PAIRS_SQL} SELECT pair_id, CAST(0 AS BIGINT) AS n_not_minimal FROM pairs WHERE pair_id IN (SELECT p.pair_id FROM pairs p {_TWO} UNION SELECT p.pair_id FROM pairs p {_FOUR})")
-def explanations_n5_minimal(spark, sf_dir):
-    """How many of the explanations with five nodes fail the test of minimality: none."""
-    kb, pairs = _setting(spark, sf_dir)
-    expl = engine.enumerate_explanations(kb, pairs, 5)
-    return expl.patterns.groupBy("pair_id").agg(F.sum((~is_minimal("pattern_key")).cast("long")).alias("n_not_minimal"))
+def _masked(var: str, mask: str) -> str:
+    return f"list_transform(list_filter(range(1, len({var}) + 1), lambda i: ({mask} >> CAST(i - 1 AS INT)) & 1 = 1), lambda i: {var}[i])"
 
 
-def _differences(spark, sf_dir, a, b):
-    """Rows of (pair, key, binding) that one enumeration has and the other lacks, by pair."""
+def _square_texts() -> list[str]:
+    """The text of a square pattern in each numbering of its two keys and its user (x, u, y)."""
+    out = []
+    for p in permutations("234"):
+        x, u, y = p
+        parts = [f"list_transform(r.{c}, lambda l: '{a}>' || l || '>{b}')" for c, a, b in (("a1", "0", x), ("a2", "0", y), ("b1", "1", x), ("b2", "1", y), ("c1", u, x), ("c2", u, y))]
+        joined = parts[0]
+        for q in parts[1:]:
+            joined = f"list_concat({joined}, {q})"
+        order = sorted(zip(p, ("r.k1", "r.u", "r.k2"), strict=True))
+        out.append(f"{{'t': array_to_string(list_sort({joined}), ';'), 'v2': {order[0][1]}, 'v3': {order[1][1]}, 'v4': {order[2][1]}}}")
+    return out
+
+
+#: All minimal explanations between users up to five nodes: a shared key, or two keys and a user between them.
+#: A set of labels at each of the six places; ``kinds`` has one row a pattern, with count, monocount and delivered current.
+N5_SQL = N3_SQL.replace(_edges_sql(None), _edges_sql()).replace("expl AS (", "small AS (") + f""",
+    mids AS (SELECT x.src AS u, x.dst AS k1, y.dst AS k2, x.ls AS c1, y.ls AS c2 FROM lab x JOIN lab y ON x.src = y.src AND x.dst < y.dst),
+    squares AS (SELECT p.pair_id, m.*, coalesce(a1.ls, []) AS a1, coalesce(a2.ls, []) AS a2, coalesce(b1.ls, []) AS b1, coalesce(b2.ls, []) AS b2
+        FROM pairs p JOIN mids m ON m.u <> p.s AND m.u <> p.e
+        LEFT JOIN lab a1 ON a1.src = p.s AND a1.dst = m.k1 LEFT JOIN lab a2 ON a2.src = p.s AND a2.dst = m.k2
+        LEFT JOIN lab b1 ON b1.src = p.e AND b1.dst = m.k1 LEFT JOIN lab b2 ON b2.src = p.e AND b2.dst = m.k2
+        WHERE (a1.ls IS NOT NULL AND b2.ls IS NOT NULL) OR (a2.ls IS NOT NULL AND b1.ls IS NOT NULL)),
+    masks AS (SELECT s.*, q1.m AS ma1, q2.m AS ma2, q3.m AS mb1, q4.m AS mb2, q5.m AS mc1, q6.m AS mc2 FROM squares s,
+        LATERAL (SELECT unnest(range(0, 1 << len(s.a1))) AS m) q1, LATERAL (SELECT unnest(range(0, 1 << len(s.a2))) AS m) q2,
+        LATERAL (SELECT unnest(range(0, 1 << len(s.b1))) AS m) q3, LATERAL (SELECT unnest(range(0, 1 << len(s.b2))) AS m) q4,
+        LATERAL (SELECT unnest(range(1, 1 << len(s.c1))) AS m) q5, LATERAL (SELECT unnest(range(1, 1 << len(s.c2))) AS m) q6
+        WHERE (q1.m > 0 AND q4.m > 0) OR (q2.m > 0 AND q3.m > 0)),
+    r AS (SELECT pair_id, k1, u, k2, {", ".join(f"{_masked(c, 'm' + c)} AS {c}" for c in ("a1", "a2", "b1", "b2", "c1", "c2"))} FROM masks),
+    texts AS (SELECT r.*, [{", ".join(_square_texts())}] AS t FROM r),
+    placed AS (SELECT pair_id, a1, a2, b1, b2, c1, c2, list_min(list_transform(t, lambda z: z.t)) AS pattern_key, unnest(t) AS one FROM texts),
+    wide AS (SELECT pair_id, pattern_key, count(*) AS n, least(count(DISTINCT one.v2), count(DISTINCT one.v3), count(DISTINCT one.v4)) AS mono,
+        any_value(len(a1) + len(a2) + len(b1) + len(b2) + len(c1) + len(c2)) AS n_edges,
+        any_value({{'a1': len(a1), 'a2': len(a2), 'b1': len(b1), 'b2': len(b2), 'c': 1.0 / (1.0 / len(c1) + 1.0 / len(c2))}}) AS g FROM placed WHERE one.t = pattern_key GROUP BY ALL),
+    solved AS (SELECT *, g.a1 + g.b1 + g.c AS d1, g.a2 + g.b2 + g.c AS d2 FROM wide),
+    kinds AS (SELECT pair_id, pattern_key, 3 AS n_nodes, n_edges, n, n AS mono, 1.0 / (1.0 / a + 1.0 / b) AS walk FROM small
+        UNION ALL SELECT pair_id, pattern_key, 5, n_edges, n, mono, (g.b1 * (g.a1 * d2 + g.c * g.a2) + g.b2 * (g.a2 * d1 + g.c * g.a1)) / (d1 * d2 - g.c * g.c) FROM solved)"""
+EXPL5 = f"{N5_SQL} SELECT pair_id, pattern_key, CAST(n_nodes AS INT) AS n_nodes, CAST(n_edges AS INT) AS n_edges, n AS n_instances FROM kinds"
+
+
+def _n5(spark, sf_dir, combo="activation+lineage", **more):
     kb, pairs = _setting(spark, sf_dir)
-    x, y = a(kb, pairs), b(kb, pairs)
-    rows = [e.instances.select("pair_id", "pattern_key", "binding") for e in (x, y)]
-    lost = rows[0].exceptAll(rows[1]).unionByName(rows[1].exceptAll(rows[0]))
-    n = lost.groupBy("pair_id").agg(F.count(F.lit(1)).alias("n"))
-    return pairs.select("pair_id").join(n, "pair_id", "left").select("pair_id", F.coalesce("n", F.lit(0)).alias("n_differences"))
+    return kb, pairs, engine.run_combo(kb, pairs, combo, **more)
+
+
+for _name in engine.COMBOS:
+    query("explanations_n5_" + _name.replace("+", "_"), EXPL5)(lambda spark, sf_dir, c=_name: _expl_rows(_n5(spark, sf_dir, c)[2]))
+query("explanations_n5_relational", EXPL5)(lambda spark, sf_dir: _expl_rows(_n5(spark, sf_dir, plan="relational")[2]))
 
 
-NONE_SQL = f"WITH {_edges_sql()}, {PAIRS_SQL} SELECT pair_id, CAST(0 AS BIGINT) AS n_differences FROM pairs"
-_COMBO = lambda c: lambda kb, pairs: engine.run_combo(kb, pairs, c)
-query("combos_agree_forward", NONE_SQL)(lambda spark, sf_dir: _differences(spark, sf_dir, _COMBO("forward+exhaustive"), _COMBO("activation+lineage")))
-query("combos_agree_bidirectional", NONE_SQL)(lambda spark, sf_dir: _differences(spark, sf_dir, _COMBO("bidirectional+exhaustive"), _COMBO("activation+lineage")))
-query("combos_agree_activation", NONE_SQL)(lambda spark, sf_dir: _differences(spark, sf_dir, _COMBO("activation+exhaustive"), _COMBO("activation+lineage")))
+#: Nations and parts: pairs whose explanations have one, two or three variables of three kinds.
+#: x: nation, customer, order, part; y: nation, supplier, order, part.  ``every`` has all instances between any nation and any part.
+N_TRADE = 1000
+
+
+def _key_of(edges: list[tuple[str, str, str]], nodes: str) -> str:
+    """The canonical text of edges between named nodes: the least over all numberings of ``nodes``."""
+    texts = []
+    for p in permutations(range(2, 2 + len(nodes))):
+        place = dict(zip(nodes, p, strict=True)) | {"n": 0, "p": 1}
+        texts.append(";".join(sorted(f"{place[a]}>{rel}>{place[b]}" for a, rel, b in edges)))
+    return min(texts)
+
+
+def _trade(nodes: str, edges: str) -> str:
+    names = {"l": "lives_in", "d": "placed", "t": "contains", "b": "based_in", "f": "fills"}
+    return _key_of([(e[0], names[e[1]], e[2]) for e in edges.split()], nodes)
+
+
+TRADE_SQL = f"""{COMMERCE_SQL}, e AS (SELECT * FROM edges),
+    x AS (SELECT l.dst AS n, l.src AS c, d.dst AS o, t.dst AS p FROM e l JOIN e d ON d.src = l.src AND d.rel = 'placed' JOIN e t ON t.src = d.dst AND t.rel = 'contains' WHERE l.rel = 'lives_in'),
+    y AS (SELECT b.dst AS n, b.src AS s, f.dst AS o, t.dst AS p FROM e b JOIN e f ON f.src = b.src AND f.rel = 'fills' JOIN e t ON t.src = f.dst AND t.rel = 'contains' WHERE b.rel = 'based_in'),
+    every AS (
+        SELECT n, p, '{_trade("co", "cln cdo otp")}' AS pattern_key, 4 AS n_nodes, 3 AS n_edges, 1.0 / 3 AS walk, c AS v2, o AS v3, o AS v4 FROM x
+        UNION ALL SELECT n, p, '{_trade("so", "sbn sfo otp")}', 4, 3, 1.0 / 3, s, o, o FROM y
+        UNION ALL SELECT x.n, x.p, '{_trade("cso", "cln cdo otp sbn sfo")}', 5, 5, 0.5, x.c, y.s, x.o FROM x JOIN y ON x.n = y.n AND x.p = y.p AND x.o = y.o
+        UNION ALL SELECT x.n, x.p, '{_trade("cab", "cln cda cdb atp btp")}', 5, 5, 0.5, x.c, x.o, z.o FROM x JOIN x z ON x.n = z.n AND x.p = z.p AND x.c = z.c AND x.o <> z.o
+        UNION ALL SELECT y.n, y.p, '{_trade("sab", "sbn sfa sfb atp btp")}', 5, 5, 0.5, y.s, y.o, z.o FROM y JOIN y z ON y.n = z.n AND y.p = z.p AND y.s = z.s AND y.o <> z.o
+        UNION ALL SELECT y.n, y.p, '{_trade("abo", "abn bbn afo bfo otp")}', 5, 5, 0.5, y.s, z.s, y.o FROM y JOIN y z ON y.n = z.n AND y.p = z.p AND y.o = z.o AND y.s <> z.s),
+    tally AS (SELECT n, p, pattern_key, n_nodes, n_edges, walk, count(*) AS c, least(count(DISTINCT v2), count(DISTINCT v3), count(DISTINCT v4)) AS mono FROM every GROUP BY ALL),
+    parts AS (SELECT DISTINCT src AS eid FROM edges WHERE rel = 'has_brand'),
+    pairs AS (SELECT row_number() OVER (ORDER BY md5('{SEED}:' || eid)) AS pair_id, eid AS e FROM parts QUALIFY pair_id <= {N_TRADE}),
+    kinds AS (SELECT q.pair_id, t.*, c AS count FROM pairs q JOIN tally t ON t.p = q.e AND t.n = {KINDS["nation"] * KIND} + q.pair_id % 25),
+    posed AS (SELECT k.*, (SELECT count(*) FROM tally o WHERE o.n = k.n AND o.pattern_key = k.pattern_key AND o.c > k.c) AS position FROM kinds k)"""
+
+
+def _trade_setting(spark, sf_dir):
+    kb = build_kb(spark, sf_dir, "commerce").pinned()
+    parts = M.sample_starts(kb, N_TRADE, SEED, "part").select(F.col("start").alias("end"))
+    order = Window.orderBy(F.md5(F.concat(F.lit(f"{SEED}:"), F.col("end").cast("string"))))
+    pairs = parts.withColumn("pair_id", F.row_number().over(order).cast("long"))
+    return kb, settle(pairs.select("pair_id", (F.lit(KINDS["nation"] * KIND) + F.col("pair_id") % 25).alias("start"), "end"))
+
+
+def _trade_expl(spark, sf_dir, **more):
+    kb, pairs = _trade_setting(spark, sf_dir)
+    return kb, pairs, engine.enumerate_explanations(kb, pairs, 5, **more)
+
+
+_TRADE_ROWS = f"WITH {TRADE_SQL} SELECT pair_id, pattern_key, CAST(n_nodes AS INT) AS n_nodes, CAST(n_edges AS INT) AS n_edges, c AS n_instances FROM kinds"
+query("explanations_n5_trade", _TRADE_ROWS)(lambda spark, sf_dir: _expl_rows(_trade_expl(spark, sf_dir)[2]))
+query("explanations_n5_trade_relational", _TRADE_ROWS)(lambda spark, sf_dir: _expl_rows(_trade_expl(spark, sf_dir, plan="relational")[2]))
+query("match_n5_trade", _TRADE_ROWS)(lambda spark, sf_dir: _matched(spark, sf_dir))
+
+
+def _matched(spark, sf_dir):
+    """Every pattern of the trade explanations matched anew for every pair, whether it has instances there or not."""
+    kb, pairs = _trade_setting(spark, sf_dir)
+    keys = settle(engine.enumerate_explanations(kb, pairs, 5).patterns.select("pattern_key", "n_nodes", "n_edges").distinct())
+    n = match(kb, keys, "pair", pairs).groupBy("pair_id", "pattern_key").agg(F.count(F.lit(1)).alias("n_instances"))
+    return n.join(keys, "pattern_key").select("pair_id", "pattern_key", "n_nodes", "n_edges", "n_instances")
 
 
 # --- measures ------------------------------------------------------------------------------
@@ -314,11 +460,34 @@ def _measure_n3(name: str):
     return run
 
 
-VALUES3 = {"size": "CAST(-3 AS DOUBLE)", "count": "CAST(n AS DOUBLE)", "monocount": "CAST(n AS DOUBLE)", "walk": "round(1.0 / (1.0 / a + 1.0 / b), 6)"}
+VALUES3 = {"count": "CAST(n AS DOUBLE)", "walk": "round(1.0 / (1.0 / a + 1.0 / b), 6)"}
 for _name, _sql in VALUES3.items():
     query(f"measure_{_name}_n3", f"{N3_SQL} SELECT pair_id, pattern_key, {_sql} AS value FROM expl")(_measure_n3(_name))
 
 
+def _measure_of(setting, name: str, **options):
+    def run(spark, sf_dir):
+        kb, pairs, expl = setting(spark, sf_dir)
+        return _value_rows(M.measure(name, kb, pairs, expl.patterns, expl.instances, **options))
+
+    return run
+
+
+VALUES5 = {"size": "CAST(-n_nodes AS DOUBLE)", "count": "CAST(n AS DOUBLE)", "monocount": "CAST(mono AS DOUBLE)", "walk": "round(CAST(walk AS DOUBLE), 6)"}
+for _name, _sql in VALUES5.items():
+    query(f"measure_{_name}_n5", f"{N5_SQL} SELECT pair_id, pattern_key, {_sql} AS value FROM kinds")(_measure_of(_n5, _name))
+query("measure_monocount_trade", f"WITH {TRADE_SQL} SELECT pair_id, pattern_key, {VALUES5['monocount']} AS value FROM kinds")(_measure_of(_trade_expl, "monocount"))
+
+
+def _trade4(spark, sf_dir):
+    """Up to four nodes: with five, every order of a supplier would meet every other one for each nation."""
+    kb, pairs = _trade_setting(spark, sf_dir)
+    return kb, pairs, engine.enumerate_explanations(kb, pairs, 4)
+
+
+query("measure_local_position_n4", f"WITH {TRADE_SQL} SELECT pair_id, pattern_key, CAST(position AS DOUBLE) AS value FROM posed WHERE n_nodes = 4")(_measure_of(_trade4, "local_position"))
+
+
 def _starts(spark, kb):
     return settle(M.sample_starts(kb, START_USERS, SEED, "user"))
 
@@ -422,7 +591,7 @@ def _rank_n3(measure, **options):
     return run
 
 
-for _name in ("size", "count", "monocount", "walk"):
+for _name in ("count", "walk"):
     query(f"topk_{_name}", _top_sql(f"{VALUES3[_name]} DESC", VALUES3[_name]))(_rank_n3(_name))
 
 
@@ -438,15 +607,50 @@ def topk_monocount_frontier_relational(spark, sf_dir):
     return R.frontier_topk(*engine.path_explanations(kb, pairs, 3), "monocount", TOP, 3, local=False)[0]
 
 
-@query("topk_n5_frontier_agrees", f"WITH {_edges_sql()}, {PAIRS_SQL} SELECT pair_id, CAST(0 AS BIGINT) AS n_differences FROM pairs")
-def topk_n5_frontier_agrees(spark, sf_dir):
-    """Ranks on which frontier pruning differs from the full ranking at five nodes: none."""
+def _top_of(source: str, table: str, order: str, value: str) -> str:
+    return f"""{source} SELECT * FROM (SELECT pair_id, CAST(row_number() OVER (PARTITION BY pair_id ORDER BY {order}, n_nodes, n_edges, pattern_key) AS INT) AS rank, pattern_key,
+    CAST(n_nodes AS INT) AS n_nodes, CAST(n_edges AS INT) AS n_edges, {value} AS value FROM {table}) WHERE rank <= {TOP}"""
+
+
+def _full_of(setting, measure):
+    def run(spark, sf_dir):
+        kb, pairs, expl = setting(spark, sf_dir)
+        return R.rank_full(kb, pairs, expl, measure, TOP).withColumn("value", F.round("value", 6))
+
+    return run
+
+
+def _combined_of(setting, measures, **options):
+    def run(spark, sf_dir):
+        kb, pairs, expl = setting(spark, sf_dir)
+        out = R.rank_combined(kb, pairs, expl, measures, TOP, **options)
+        return out.select("pair_id", "rank", "pattern_key", "n_nodes", "n_edges", F.round(measures[1], 6).alias("value"))
+
+    return run
+
+
+_TOP_MONO5 = _top_of(N5_SQL, "kinds", "mono DESC", VALUES5["monocount"])
+query("topk_monocount_n5", _TOP_MONO5)(_full_of(_n5, "monocount"))
+query("topk_size_n5", _top_of(N5_SQL, "kinds", "n_nodes", VALUES5["size"]))(_full_of(_n5, "size"))
+
+
+@query("topk_frontier_n5", _TOP_MONO5)
+def topk_frontier_n5(spark, sf_dir):
+    kb, pairs = _setting(spark, sf_dir)
+    return engine.rank(kb, pairs, "monocount", TOP, "frontier_topk")
+
+
+@query("topk_frontier_n5_relational", _TOP_MONO5)
+def topk_frontier_n5_relational(spark, sf_dir):
     kb, pairs = _setting(spark, sf_dir)
-    a = engine.rank(kb, pairs, "monocount", TOP, "frontier_topk")
-    b = engine.rank(kb, pairs, "monocount", TOP)
-    lost = settle(a.exceptAll(b).unionByName(b.exceptAll(a)))
-    n = lost.groupBy("pair_id").agg(F.count(F.lit(1)).alias("n"))
-    return pairs.select("pair_id").join(n, "pair_id", "left").select("pair_id", F.coalesce("n", F.lit(0)).alias("n_differences"))
+    return R.frontier_topk(*engine.path_explanations(kb, pairs, 5), "monocount", TOP, 5, local=False)[0]
+
+
+query("topk_size_monocount", _top_of(N5_SQL, "kinds", "n_nodes, mono DESC", VALUES5["monocount"]))(_combined_of(_n5, ["size", "monocount"], lazy_secondary=False))
+@query("topk_position_bounded_n4", _top_of(f"WITH {TRADE_SQL}, four AS (SELECT * FROM posed WHERE n_nodes = 4)", "four", "position", "CAST(position AS DOUBLE)"))
+def topk_position_bounded_n4(spark, sf_dir):
+    kb, pairs, expl = _trade4(spark, sf_dir)
+    return R.bounded_position(kb, pairs, expl, TOP, wave=1)
 
 
 #: Values of every explanation with three nodes at every end of the pairs' starts.
@@ -465,18 +669,12 @@ def topk_position_bounded(spark, sf_dir):
     return R.bounded_position(kb, pairs, expl, TOP)
 
 
-def _combined(measures, **options):
-    def run(spark, sf_dir):
-        kb, pairs, expl = _n3(spark, sf_dir, "lineage")
-        out = R.rank_combined(kb, pairs, expl, measures, TOP, **options)
-        return out.select("pair_id", "rank", "pattern_key", "n_nodes", "n_edges", F.round(measures[1], 6).alias("value"))
-
-    return run
+def _n3_lineage(spark, sf_dir):
+    return _n3(spark, sf_dir, "lineage")
 
 
-query("topk_size_monocount", _top_sql("n DESC", "CAST(n AS DOUBLE)"))(_combined(["size", "monocount"]))
-query("topk_size_local", TOP_POSITION)(_combined(["size", "local_position"]))
-query("topk_size_local_eager", TOP_POSITION)(_combined(["size", "local_position"], lazy_secondary=False))
+query("topk_size_local", TOP_POSITION)(_combined_of(_n3_lineage, ["size", "local_position"]))
+query("topk_size_local_eager", TOP_POSITION)(_combined_of(_n3_lineage, ["size", "local_position"], lazy_secondary=False))
 
 
 # --- judgements ----------------------------------------------------------------------------
@@ -494,6 +692,13 @@ def dcg_scores(spark, sf_dir):
     return judge.dcg_score(ranked, judge.stand_in_grades(expl.patterns), TOP).withColumn("score", F.round("score", 6))
 
 
+@query("path_share_top5", f"""{_JUDGED}, liked AS (SELECT pair_id, pattern_key, avg(grade) AS g, row_number() OVER (PARTITION BY pair_id ORDER BY avg(grade) DESC, pattern_key) AS r FROM grades GROUP BY pair_id, pattern_key)
+    SELECT pair_id, count(*) AS n_best, CAST(sum(CASE WHEN len(string_split(pattern_key, ';')) = 2 THEN 1 ELSE 0 END) AS BIGINT) AS n_paths FROM liked WHERE r <= 5 GROUP BY pair_id""")
+def path_share_top5(spark, sf_dir):
+    _, _, expl = _n3(spark, sf_dir, "lineage")
+    return judge.path_share(expl.patterns, judge.stand_in_grades(expl.patterns), 5)
+
+
 @query("path_share", f"""{_JUDGED}, liked AS (SELECT pair_id, pattern_key, avg(grade) AS g, row_number() OVER (PARTITION BY pair_id ORDER BY avg(grade) DESC, pattern_key) AS r FROM grades GROUP BY pair_id, pattern_key)
     SELECT pair_id, count(*) AS n_best, CAST(sum(CASE WHEN len(string_split(pattern_key, ';')) = 2 THEN 1 ELSE 0 END) AS BIGINT) AS n_paths FROM liked WHERE r <= 10 GROUP BY pair_id""")
 def path_share(spark, sf_dir):
@@ -602,6 +807,21 @@ def stream_label_counts(spark, sf_dir):
     return stream.drain(own, _name(sf_dir, "stream_labels"), "complete").select(F.col("w_start").cast("timestamp_ntz").alias("day"), "event_type", "n")
 
 
+@query("stream_sliding_counts", """SELECT w AS w_start, event_type, count(*) AS n FROM (SELECT event_type, unnest([date_trunc('day', ts) - INTERVAL 1 DAY, date_trunc('day', ts)]) AS w FROM events) GROUP BY ALL""")
+def stream_sliding_counts(spark, sf_dir):
+    own = stream.label_counts(stream.read_events(spark, f"{sf_dir}/events.parquet"), "2 days", "1 day")
+    return stream.drain(own, _name(sf_dir, "stream_sliding"), "complete").select(F.col("w_start").cast("timestamp_ntz").alias("w_start"), "event_type", "n")
+
+
+@query("stream_sessions", """WITH e AS (SELECT CAST(regexp_extract(props, '"k": *([0-9]+)', 1) AS BIGINT) AS k, ts FROM events),
+    g AS (SELECT k, ts, CASE WHEN ts < lag(ts) OVER (PARTITION BY k ORDER BY ts) + INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS fresh FROM e),
+    n AS (SELECT k, ts, sum(fresh) OVER (PARTITION BY k ORDER BY ts ROWS UNBOUNDED PRECEDING) AS i FROM g)
+    SELECT k, min(ts) AS w_start, count(*) AS n_events FROM n GROUP BY k, i""")
+def stream_sessions(spark, sf_dir):
+    own = stream.session_users(stream.read_events(spark, f"{sf_dir}/events.parquet"), "30 minutes")
+    return stream.drain(own, _name(sf_dir, "stream_sessions"), "complete").select("k", F.col("w_start").cast("timestamp_ntz").alias("w_start"), "n_events")
+
+
 @query("stream_co_occurrence", f"SELECT k, CAST(sum(CASE WHEN before <> user_id THEN 1 ELSE 0 END) AS BIGINT) AS changes FROM ({_GAP}) GROUP BY k")
 def stream_co_occurrence(spark, sf_dir):
     own = stream.co_occurrence(stream.read_events(spark, f"{sf_dir}/events.parquet"))

@@ -109,10 +109,10 @@ def grounded_conductance(sink: float):
     return grounded
 
 
-def match_steps(bound: tuple[int, ...]):
+def match_steps(bound: tuple[int, ...], fan: dict[tuple[str, int], float] | None = None):
     @F.pandas_udf(STEPS)
     def steps(key: pd.Series) -> pd.Series:
-        return key.map(lambda k: [{"origin": a, "rel": r, "dir": d, "target": b} for a, r, d, b in P.match_plan(P.parse_key(k), bound)])
+        return key.map(lambda k: [{"origin": a, "rel": r, "dir": d, "target": b} for a, r, d, b in P.match_plan(P.parse_key(k), bound, fan)])
 
     return steps
 

@@ -2,8 +2,8 @@
 
 Patterns are data: each has a plan of steps (from, label, direction, to), and one join with
 the graph's steps carries all patterns, and all starts, one edge further.  So patterns
-that begin alike share the read of the graph, and the number of jobs does not grow with
-the number of patterns.
+that begin alike share their rows and the read of the graph, and the number of jobs does not grow
+with the number of patterns.
 """
 
 from __future__ import annotations
@@ -13,12 +13,13 @@ from pyspark.sql import functions as F
 
 from ..functions import pattern as P
 from ..functions.udfs import match_steps
+from ..plans.runs import RunStats, settle
 from ..sources.kb import KnowledgeGraph
 
 SEMANTICS = ("simple", "homomorphic", "sql")
 
 
-def match(kb: KnowledgeGraph, patterns: DataFrame, bind: str = "pair", at: DataFrame | None = None, semantics: str = "simple", slices: tuple[int, int, int] | None = None) -> DataFrame:
+def match(kb: KnowledgeGraph, patterns: DataFrame, bind: str = "pair", at: DataFrame | None = None, semantics: str = "simple", slices: tuple[int, int, int] | None = None, stats: RunStats | None = None) -> DataFrame:
     """(…keys of ``at``, pattern_key, start, end, binding), each instance once.
 
     ``patterns`` has pattern_key, and may have pair_id or start: then a pattern is matched for
@@ -26,47 +27,60 @@ def match(kb: KnowledgeGraph, patterns: DataFrame, bind: str = "pair", at: DataF
     none: every entity is a start.  simple: all entities differ; homomorphic: variables may
     coincide but avoid the targets; sql: no condition, as a plain join has it.
     ``slices`` (n, from, to) keeps ends whose hash modulo n is in [from, to).
+
+    The plans of the patterns form a tree: what begins alike is joined once for a pair or start, and each
+    depth of the tree is one join, written to the shared folder.  ``stats`` counts the rows of all depths.
     """
     if semantics not in SEMANTICS:
         raise ValueError(f"semantics must be one of {SEMANTICS}")
     bound = (0, 1) if bind == "pair" else (0,)
     keys = [c for c in ("pair_id",) if at is not None and c in at.columns]
-    shapes = patterns.select("pattern_key").distinct().withColumn("plan", match_steps(bound)("pattern_key"))
-    shapes = shapes.withColumn("n", F.array_max(F.transform("plan", lambda s: F.greatest(s["origin"], s["target"]))) + 1)
+    ends = ["end"] if bind == "pair" else []
     on = [k for k in ("pair_id", "start") if at is not None and k in at.columns and k in patterns.columns]
-    asked = patterns.select(*on, "pattern_key").distinct().join(shapes, "pattern_key")
+    shapes = patterns.select("pattern_key").distinct().withColumn("plan", match_steps(bound, kb.fan_out)("pattern_key"))
+    asked = settle(patterns.select(*on, "pattern_key").distinct().join(shapes, "pattern_key"))
+    nodes = F.array_max(F.transform("plan", lambda s: F.greatest(s["origin"], s["target"]))) + 1
+    text = F.transform("plan", lambda s: F.concat_ws(" ", s["origin"].cast("string"), s["dir"].cast("string"), s["target"].cast("string"), s["rel"]))
+    asked = asked.withColumns({"n": nodes, "texts": text})
+    deepest, widest = asked.agg(F.max(F.size("plan")), F.max("n")).first()
+    if (deepest or 0) > MOST_EDGES:
+        raise ValueError(f"a pattern has more than {MOST_EDGES} edges")
+    deepest, widest = deepest or 0, widest or 2
+    head = lambda n: F.array_join(F.slice("texts", F.lit(1), n), "|")
+    branches = asked.select(*on, "texts", F.posexplode("plan").alias("depth", "step"))
+    branches = branches.select(*on, "depth", head(F.col("depth")).alias("prefix"), head(F.col("depth") + 1).alias("after"), "step.*").distinct()
+    leaves = asked.select(*on, "pattern_key", "n", F.size("plan").alias("depth"), head(F.size("plan")).alias("prefix"))
+
     if on:
-        rows = at.select(*keys, "start", *(["end"] if bind == "pair" else [])).join(asked, on)
+        rows = at.select(*keys, "start", *ends).join(asked.select(*on).distinct(), on)
     else:  # only starts that have an edge for the first step of a pattern
-        first = asked.withColumns({"rel": F.try_element_at("plan", F.lit(1))["rel"], "dir": F.try_element_at("plan", F.lit(1))["dir"]})
-        doors = kb.steps.select(F.col("u").alias("start"), "rel", "dir").distinct()
-        doors = doors if at is None else at.select(*keys, "start", *(["end"] if bind == "pair" else [])).join(doors, "start")
-        rows = doors.join(first, ["rel", "dir"])
-    end = F.col("end") if bind == "pair" else F.lit(None).cast("long")
-    rows = rows.select(*keys, "pattern_key", "plan", F.concat(F.array("start", end), F.array_repeat(F.lit(None).cast("long"), F.col("n") - 2)).alias("at"))
-    longest = MOST_EDGES
-    deepest = shapes.agg(F.max(F.size("plan"))).first()[0] or 0
-    if deepest > longest:
-        raise ValueError(f"a pattern has more than {longest} edges")
-    steps = kb.steps.select(F.col("u"), F.col("rel"), F.col("dir"), F.col("v"))
-    done = None
+        first = branches.filter("depth = 0").select("rel", "dir").distinct()
+        rows = kb.steps.join(first, ["rel", "dir"]).select(F.col("u").alias("start")).distinct()
+        rows = rows if at is None else at.select(*keys, "start", *ends).join(rows, "start")
+    end = F.col("end") if ends else F.lit(None).cast("long")
+    rows = rows.select(*{*keys, "start"}, F.lit("").alias("prefix"), F.concat(F.array("start", end), F.array_repeat(F.lit(None).cast("long"), widest - 2)).alias("at"))
+    link = [*dict.fromkeys([*on, "prefix"])]
+    steps, done = kb.steps.select("u", "rel", "dir", "v"), None
     for i in range(deepest):
-        finished = rows.filter(F.size("plan") == i)
-        done = finished if done is None else done.unionByName(finished)
-        step = F.try_element_at("plan", F.lit(i + 1))
-        ready = rows.filter(F.size("plan") > i).withColumns({"u": F.try_element_at("at", step["origin"] + 1), "rel": step["rel"], "dir": step["dir"], "to": step["target"]})
+        ready = rows.join(branches.filter(F.col("depth") == i).drop("depth"), link).withColumn("u", F.try_element_at("at", F.col("origin") + 1))
         out = ready.join(steps, ["u", "rel", "dir"])
-        held = F.try_element_at("at", F.col("to") + 1)
-        fresh = held.isNull()
-        ok = (held == F.col("v")) | (fresh & _free(semantics))
+        held = F.try_element_at("at", F.col("target") + 1)
+        ok = (held == F.col("v")) | (held.isNull() & _free(semantics))
         if slices:
             n, a, b = slices
             part = F.pmod(F.xxhash64("v"), F.lit(n))
-            ok = ok & ((F.col("to") != 1) | (part >= a) & (part < b))
-        out = out.filter(ok)
-        rows = out.select(*keys, "pattern_key", "plan", F.transform("at", lambda x, k: F.when(k == F.col("to"), F.col("v")).otherwise(x)).alias("at"))
-    done = rows if done is None else done.unionByName(rows)
-    whole = done.select(*keys, "pattern_key", F.try_element_at("at", F.lit(1)).alias("start"), F.try_element_at("at", F.lit(2)).alias("end"), F.slice("at", 3, 1 << 20).alias("binding"))
+            ok = ok & ((F.col("target") != 1) | (part >= a) & (part < b))
+        placed = F.transform("at", lambda x, k: F.when(k == F.col("target"), F.col("v")).otherwise(x))
+        rows = out.filter(ok).select(*{*keys, "start"}, F.col("after").alias("prefix"), placed.alias("at"))
+        if i + 1 < deepest or stats is not None:
+            rows = settle(rows)
+        if stats is not None:
+            stats.add("match_rows", rows.count())
+        ripe = rows.join(leaves.filter(F.col("depth") == i + 1).drop("depth"), link)
+        done = ripe if done is None else done.unionByName(ripe)
+    if done is None:
+        done = rows.join(leaves, link).filter("false")
+    whole = done.select(*keys, "pattern_key", "start", F.try_element_at("at", F.lit(2)).alias("end"), F.slice("at", F.lit(3), F.col("n") - 2).alias("binding"))
     if semantics == "homomorphic":
         whole = whole.filter(~F.array_contains("binding", F.col("end")))
     return whole

@@ -30,8 +30,7 @@ def expand(frontier: DataFrame, kb: KnowledgeGraph, semantics: str, side: str =
 
     simple: no entity twice.  homomorphic: variables may coincide, never with a target.
     """
-    s = kb.steps
-    out = frontier.join(s, frontier["tip"] == s["u"])
+    out = kb.reach(frontier, "tip")
     out = out.filter(F.col("v") != F.col(side))
     if semantics == "simple":
         out = out.filter(~F.array_contains("nodes", F.col("v")))
@@ -78,7 +77,7 @@ def _count(stats: RunStats | None, name: str, df: DataFrame) -> None:
 def _forward(kb, pairs, length, semantics, stats):
     at, found = seed(pairs), None
     for _ in range(length):
-        grown = expand(at, kb, semantics)
+        grown = settle(expand(at, kb, semantics))
         _count(stats, "partial_paths", grown)
         hit = grown.filter("tip = end").select("pair_id", "nodes", "sig")
         found = hit if found is None else found.unionByName(hit)
@@ -95,7 +94,7 @@ def _bidirectional(kb, pairs, length, semantics, stats):
     fwd, bwd = {0: seed(pairs)}, {0: seed(pairs, "end")}
     for side, depth, own in (("start", -(-length // 2), fwd), ("end", length // 2, bwd)):
         for d in range(1, depth + 1):
-            own[d] = expand(own[d - 1] if d == 1 else _inner(own[d - 1]), kb, semantics, side)
+            own[d] = settle(expand(own[d - 1] if d == 1 else _inner(own[d - 1]), kb, semantics, side))
             _count(stats, "partial_paths", own[d])
     return _by_lengths(fwd, bwd, length, semantics)
 
@@ -147,7 +146,7 @@ def _literal(kb, pairs, length, semantics, batch, stats):
     rounds end when every partial path has been extended whose depth the other side may
     need: depth reached by start and by end, all shallower ones done, add up to ``length``.
     """
-    degrees = settle(kb.degrees)
+    degrees = kb.degrees
     half = {"start": -(-length // 2), "end": length // 2}
     done = {s: seed(pairs, s).withColumn("depth", F.lit(0)) for s in half}
     todo = {s: done[s] for s in half}
@@ -155,7 +154,7 @@ def _literal(kb, pairs, length, semantics, batch, stats):
     for s in half:
         own = pairs.join(degrees, pairs[s] == degrees["eid"]).select("pair_id", F.lit(s).alias("side"), F.col(s).alias("tip"), (1 / F.col("degree")).alias("activation"))
         active = own if active is None else active.unionByName(own)
-    active = settle(active)
+    active, rounds = settle(active), 0
     while True:
         waiting = None
         for s in half:
@@ -177,6 +176,9 @@ def _literal(kb, pairs, length, semantics, batch, stats):
             to = mine.join(kb.steps, mine["tip"] == kb.steps["u"]).join(pairs.select("pair_id", "start", "end"), "pair_id").filter("v <> start and v <> end")
             to = to.join(degrees, to["v"] == degrees["eid"]).select("pair_id", F.lit(s).alias("side"), F.col("v").alias("tip"), (F.col("activation") / F.col("degree")).alias("activation"))
             spread = to if spread is None else spread.unionByName(to)
+        rounds += 1
+        if rounds % 16 == 0:  # the plan stays short, however many rounds
+            done = {s: settle(done[s]) for s in half}
         stats and stats.add("activation_rounds", 1)
         reset = active.join(chosen.select("pair_id", "side", "tip"), ["pair_id", "side", "tip"], "left_anti")
         active = settle(reset.unionByName(spread).groupBy("pair_id", "side", "tip").agg(F.sum("activation").alias("activation")))

@@ -13,6 +13,10 @@ from .tables import load, text_key, tidy
 
 #: Entity numbers are kind * KIND + key.
 KIND = 10**15
+#: Labels whose fan-out is kept; others count as cheap, which changes the order of joins and no result.
+MOST_LABELS = 20_000
+#: A node with more than this share of all steps, and more than HUB_STEPS, is a hub; its steps lie in HUB_PLACES places.
+HUB_SHARE, HUB_STEPS, HUB_PLACES = 1 / 1024, 200_000, 64
 KINDS = {
     k: i + 1
     for i, k in enumerate(
@@ -45,8 +49,33 @@ class KnowledgeGraph:
 
     @property
     def degrees(self) -> DataFrame:
+        return self.cache.get("degrees", self._degrees())
+
+    def _degrees(self) -> DataFrame:
         return self.steps.groupBy(F.col("u").alias("eid")).agg(F.count(F.lit(1)).alias("degree"))
 
+    @property
+    def fan_out(self) -> dict[tuple[str, int], float]:
+        """Mean number of neighbours by label and direction, which orders joins; one row for each label and way."""
+        if "fan_out" not in self.cache:
+            rows = self.steps.groupBy("rel", "dir").agg((F.count(F.lit(1)) / F.approx_count_distinct("u")).alias("mean")).limit(MOST_LABELS).collect()
+            self.cache["fan_out"] = {(r["rel"], r["dir"]): r["mean"] for r in rows}
+        return self.cache["fan_out"]
+
+    def reach(self, rows: DataFrame, tip: str) -> DataFrame:
+        """``rows`` joined to the steps that begin at their column ``tip``.
+
+        On a pinned graph the steps are partitioned by their first node already, so only ``rows`` move.  The
+        steps of hubs lie in several places, and rows at a hub go to each of them.
+        """
+        hubs = self.cache.get("hubs")
+        if not hubs:
+            return rows.join(self.steps, rows[tip] == self.steps["u"])
+        places = F.when(F.col(tip).isin(hubs), F.sequence(F.lit(0), F.lit(HUB_PLACES - 1))).otherwise(F.array(F.lit(0)))
+        rows = rows.withColumn("__place", F.explode(places))
+        dealt = self.cache["dealt"]
+        return rows.join(dealt, (rows[tip] == dealt["u"]) & (rows["__place"] == dealt["place"])).drop("__place", "place")
+
     def persist(self) -> KnowledgeGraph:
         """Keep the steps for the many joins of one run, partitioned by their first node."""
         if "kept" not in self.cache:
@@ -55,12 +84,25 @@ class KnowledgeGraph:
         return self
 
     def pinned(self) -> KnowledgeGraph:
-        """Edges and steps written to the shared folder once, for runs of many joins that must survive lost executors."""
+        """Edges, steps and degrees written to the shared folder once, for runs of many joins that must survive lost executors.
+
+        Steps are partitioned and sorted by their first node; the checkpoint keeps that, so later joins on it do
+        not move the graph.  Nodes with a large share of all steps (a number bounded by ``1 / HUB_SHARE``) are hubs.
+        """
         from ..plans.runs import settle
 
         if "pinned" not in self.cache:
             self.edges = settle(self.edges)
             self.cache.pop("steps", None)
+            n = int(self.edges.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+            steps = self.steps
+            self.cache["steps"] = settle(steps.repartition(n, "u").sortWithinPartitions("u"))
+            self.cache["degrees"] = settle(self._degrees())
+            total = self.cache["degrees"].agg(F.sum("degree")).first()[0] or 0
+            if total * HUB_SHARE > HUB_STEPS:
+                self.cache["hubs"] = [r["eid"] for r in self.cache["degrees"].filter(F.col("degree") > total * HUB_SHARE).collect()]
+                place = F.when(F.col("u").isin(self.cache["hubs"]), F.pmod(F.xxhash64("v"), F.lit(HUB_PLACES)).cast("int")).otherwise(0)
+                self.cache["dealt"] = settle(steps.withColumn("place", place).repartition(n, "u", "place").sortWithinPartitions("u", "place"))
             self.cache["pinned"] = True
         return self
 
@@ -163,12 +205,50 @@ def commerce(spark: SparkSession, sf_dir: str, split_labels: bool = False) -> Kn
     return KnowledgeGraph(_ends(edges), edges)
 
 
+#: Vectors of one label that are held against as many others in one task.
+VECTOR_BLOCK = 4096
+
+
+def similar_pairs(vectors: DataFrame, least: float) -> DataFrame:
+    """(a, b): all pairs of vectors of one label with a cosine of at least ``least``; null labels and vectors have none.
+
+    A label is cut into blocks by a hash of the id; two blocks meet in one task, which
+    multiplies them and gives only the similar pairs, so no pair of a label is ever a row before it is known to count.
+    """
+    own = vectors.select("vec_id", "label", F.col("embedding").cast("array<double>").alias("e")).dropna()
+    sizes = own.groupBy("label").agg(F.ceil(F.count(F.lit(1)) / VECTOR_BLOCK).cast("int").alias("blocks"))
+    own = own.join(F.broadcast(sizes) if sizes.limit(100_001).count() <= 100_000 else sizes, "label")
+    own = own.withColumn("block", F.pmod(F.xxhash64("vec_id"), F.col("blocks")).cast("int"))
+    other = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other")
+    dealt = own.select("label", "vec_id", "e", "block", other).select("label", "vec_id", "e", "block", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"))
+
+    def meet(key, frame):
+        import numpy as np
+        import pandas as pd
+
+        if not len(frame):
+            return pd.DataFrame({"a": [], "b": []})
+        e = np.stack([np.asarray(x) for x in frame["e"]])
+        ids, block = frame["vec_id"].to_numpy(), frame["block"].to_numpy()
+        left = np.flatnonzero(block == key[1])
+        right = np.flatnonzero(block == key[2])
+        size = np.sqrt((e * e).sum(axis=1))
+        found = []
+        for at in range(0, len(left), 512):
+            rows = left[at : at + 512]
+            x, y = np.nonzero((e[rows] @ e[right].T >= least * size[rows, None] * size[right]) & (ids[rows, None] < ids[right] if key[1] == key[2] else True))
+            found.append(np.stack([ids[rows[x]], ids[right[y]]], axis=1))
+        found = np.concatenate(found) if found else np.zeros((0, 2), dtype=np.int64)
+        return pd.DataFrame({"a": found.min(axis=1), "b": found.max(axis=1)})
+
+    return dealt.groupBy("label", "i", "j").applyInPandas(meet, "a long, b long")
+
+
 def content(spark: SparkSession, sf_dir: str, similar: float = 0.5) -> KnowledgeGraph:
     """Documents, pages, vectors, conversations and their attributes; near copies and similar vectors are undirected.
 
     Copies of one text are joined to the one with the smallest id, not to each other, so a
-    large group gives as many edges as it has members.  Vectors are compared within a label
-    and the signs of eight coordinates.
+    large group gives as many edges as it has members.  All vectors of a label are compared, block by block.
     """
     t = {n: load(spark, sf_dir, n) for n in ("documents", "labels", "pages", "embeddings", "conversations")}
     doc = lambda c="doc_id": eid("document", F.col(c))
@@ -176,11 +256,7 @@ def content(spark: SparkSession, sf_dir: str, similar: float = 0.5) -> Knowledge
     first = copies.groupBy("h").agg(F.min("doc_id").alias("first"), F.count(F.lit(1)).alias("n")).filter("n > 1")
     copies = copies.join(first, "h").filter("doc_id <> first")
     host = F.regexp_extract("url", r"^[a-z]+://([^/]+)", 1)
-    v = t["embeddings"].select("vec_id", "label", F.col("embedding").cast("array<double>").alias("e"))
-    v = v.withColumn("cell", F.transform(F.slice("e", 1, 8), lambda x: x > 0))
-    dot = lambda a, b: F.aggregate(F.zip_with(a, b, lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x)
-    near = v.alias("x").join(v.alias("y"), (F.col("x.label") == F.col("y.label")) & (F.col("x.cell") == F.col("y.cell")) & (F.col("x.vec_id") < F.col("y.vec_id")))
-    near = near.filter(dot(F.col("x.e"), F.col("y.e")) >= similar * F.sqrt(dot(F.col("x.e"), F.col("x.e"))) * F.sqrt(dot(F.col("y.e"), F.col("y.e"))))
+    near = similar_pairs(t["embeddings"], similar)
     edges = [
         _rule(t["documents"], doc(), F.lit("in_lang"), eid("lang", F.col("lang"), text=True)),
         _rule(t["documents"], doc(), F.lit("from_source"), eid("source", F.col("source"), text=True)),
@@ -188,7 +264,7 @@ def content(spark: SparkSession, sf_dir: str, similar: float = 0.5) -> Knowledge
         _rule(copies, doc(), F.lit("near_copy"), doc("first"), directed=False),
         _rule(t["pages"], eid("page", F.col("page_id")), F.lit("hosted_by"), F.lit(KINDS["host"] * KIND) + text_key(host)),
         _rule(t["embeddings"], eid("vector", F.col("vec_id")), F.lit("labelled"), eid("label", F.col("label"))),
-        _rule(near, eid("vector", F.col("x.vec_id")), F.lit("similar"), eid("vector", F.col("y.vec_id")), directed=False),
+        _rule(near, eid("vector", F.col("a")), F.lit("similar"), eid("vector", F.col("b")), directed=False),
         _rule(t["conversations"], eid("conversation", F.col("conv_id")), F.lit("has_role"), eid("role", F.col("role"), text=True)),
     ]
     edges = tidy(_union(edges))

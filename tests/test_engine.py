@@ -239,3 +239,39 @@ def test_path_grouping_keeps_order(toy):
     _, instances = path_patterns(paths(kb, pairs, 4))
     got = match(kb, instances.select("pair_id", "pattern_key").distinct(), "pair", pairs)
     assert got.count() == instances.count()
+
+
+def test_the_pinned_graph_does_not_move(spark, toy):
+    kb, pairs, _ = toy
+    threshold = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        plan = kb.reach(pairs.withColumnRenamed("start", "tip"), "tip")._jdf.queryExecution().executedPlan().toString()
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", threshold)
+    assert "hashpartitioning(tip" in plan and "hashpartitioning(u" not in plan
+
+
+def test_hubs_are_dealt_to_many_places(spark, toy, expl, monkeypatch):
+    from linkwhy.sources import kb as K
+
+    monkeypatch.setattr(K, "HUB_STEPS", 0)
+    monkeypatch.setattr(K, "HUB_SHARE", 1 / 10)
+    kb, pairs, _ = toy
+    split = build_kb(spark, "", "toy").pinned()
+    assert split.cache["hubs"]
+    rows = lambda g: sorted((r.pair_id, tuple(r.nodes), tuple(r.sig)) for r in paths(g, pairs, 4, "bidirectional").collect())
+    assert rows(split) == rows(kb)
+
+
+def test_similar_vectors_are_all_pairs_of_a_label(spark, monkeypatch):
+    import numpy as np
+
+    from linkwhy.sources import kb as K
+
+    monkeypatch.setattr(K, "VECTOR_BLOCK", 7)
+    rng = np.random.default_rng(5)
+    rows = [(i, int(rng.integers(0, 3)), rng.normal(size=4).tolist()) for i in range(60)] + [(90, None, [1.0] * 4), (91, 1, None)]
+    got = {(r.a, r.b) for r in K.similar_pairs(spark.createDataFrame(rows, "vec_id long, label long, embedding array<double>"), 0.5).collect()}
+    cos = lambda x, y: np.dot(x, y) / np.sqrt(np.dot(x, x) * np.dot(y, y))
+    assert got == {(i, j) for i, k, x in rows[:60] for j, m, y in rows[:60] if i < j and k == m and cos(x, y) >= 0.5}
