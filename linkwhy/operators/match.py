@@ -29,7 +29,7 @@ def match(kb: KnowledgeGraph, patterns: DataFrame, bind: str = "pair", at: DataF
     ``slices`` (n, from, to) keeps ends whose hash modulo n is in [from, to).
 
     The plans of the patterns form a tree: what begins alike is joined once for a pair or start, and each
-    depth of the tree is one join, written to the shared folder.  ``stats`` counts the rows of all depths.
+    depth of the tree is one join; every third is written to the shared folder.  ``stats`` counts the rows of all depths.
     """
     if semantics not in SEMANTICS:
         raise ValueError(f"semantics must be one of {SEMANTICS}")
@@ -72,8 +72,8 @@ def match(kb: KnowledgeGraph, patterns: DataFrame, bind: str = "pair", at: DataF
             ok = ok & ((F.col("target") != 1) | (part >= a) & (part < b))
         placed = F.transform("at", lambda x, k: F.when(k == F.col("target"), F.col("v")).otherwise(x))
         rows = out.filter(ok).select(*{*keys, "start"}, F.col("after").alias("prefix"), placed.alias("at"))
-        if i + 1 < deepest or stats is not None:
-            rows = settle(rows)
+        if stats is not None or (i % 3 == 2 and i + 1 < deepest):
+            rows = settle(rows)  # between them, equal subplans share their exchanges
         if stats is not None:
             stats.add("match_rows", rows.count())
         ripe = rows.join(leaves.filter(F.col("depth") == i + 1).drop("depth"), link)

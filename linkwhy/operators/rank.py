@@ -68,7 +68,7 @@ def frontier_topk(patterns: DataFrame, instances: DataFrame, measure: str, k: in
     return top.select("pair_id", "rank", "pattern_key", "n_nodes", "n_edges", "value"), expl
 
 
-def bounded_position(kb: KnowledgeGraph, pairs: DataFrame, expl: Explanations, k: int = 10, agg: str = "count", scope: str = "local", wave: int = 64, slices: tuple[int, ...] = (1, 4, 16), sample: int | None = 100, seed: int = 42, kind: str | None = None, semantics: str = "simple", tie_exact: bool = True, stats: RunStats | None = None) -> DataFrame:
+def bounded_position(kb: KnowledgeGraph, pairs: DataFrame, expl: Explanations, k: int = 10, agg: str = "count", scope: str = "local", wave: int = 64, slices: tuple[int, ...] = (2, 16), sample: int | None = 100, seed: int = 42, kind: str | None = None, semantics: str = "simple", tie_exact: bool = True, stats: RunStats | None = None) -> DataFrame:
     """Top k by position without finishing the positions of hopeless patterns.
 
     Patterns come in waves, those with few nodes and edges first.  The k-th best position so

@@ -96,13 +96,13 @@ class KnowledgeGraph:
             self.cache.pop("steps", None)
             n = int(self.edges.sparkSession.conf.get("spark.sql.shuffle.partitions"))
             steps = self.steps
-            self.cache["steps"] = settle(steps.repartition(n, "u").sortWithinPartitions("u"))
+            self.cache["steps"] = _dealt(steps, n, "u")
             self.cache["degrees"] = settle(self._degrees())
             total = self.cache["degrees"].agg(F.sum("degree")).first()[0] or 0
             if total * HUB_SHARE > HUB_STEPS:
                 self.cache["hubs"] = [r["eid"] for r in self.cache["degrees"].filter(F.col("degree") > total * HUB_SHARE).collect()]
                 place = F.when(F.col("u").isin(self.cache["hubs"]), F.pmod(F.xxhash64("v"), F.lit(HUB_PLACES)).cast("int")).otherwise(0)
-                self.cache["dealt"] = settle(steps.withColumn("place", place).repartition(n, "u", "place").sortWithinPartitions("u", "place"))
+                self.cache["dealt"] = _dealt(steps.withColumn("place", place), n, "u", "place")
             self.cache["pinned"] = True
         return self
 
@@ -158,6 +158,19 @@ class KnowledgeGraph:
         return kb
 
 
+def _dealt(steps: DataFrame, n: int, *by: str) -> DataFrame:
+    """Settled rows that keep their partitioning: an adaptive plan would not tell the checkpoint about it."""
+    from ..plans.runs import settle
+
+    conf = steps.sparkSession.conf
+    adaptive = conf.get("spark.sql.adaptive.enabled")
+    conf.set("spark.sql.adaptive.enabled", "false")
+    try:
+        return settle(steps.repartition(n, *by).sortWithinPartitions(*by))
+    finally:
+        conf.set("spark.sql.adaptive.enabled", adaptive)
+
+
 def _union(parts: list[DataFrame]) -> DataFrame:
     return reduce(DataFrame.unionByName, parts)
 
