@@ -11,6 +11,14 @@ from statistics import median
 sys.path.insert(0, os.path.dirname(os.path.abspath(__file__)))
 
 
+def _line(points: list[tuple[int, float]]) -> tuple[float, float]:
+    """Slope for 1,000 instances and R squared of a straight line through the points."""
+    n = len(points)
+    mx, my = sum(x for x, _ in points) / n, sum(y for _, y in points) / n
+    sxy, sxx, syy = sum((x - mx) * (y - my) for x, y in points), sum((x - mx) ** 2 for x, _ in points), sum((y - my) ** 2 for _, y in points)
+    return round(1000 * sxy / (sxx or 1), 3), round(sxy * sxy / ((sxx * syy) or 1), 3)
+
+
 def main() -> None:
     from pyspark.sql import SparkSession
     from pyspark.sql import functions as F
@@ -29,7 +37,8 @@ def main() -> None:
     spark.sparkContext.setLogLevel("OFF")
 
     from linkwhy.operators import rank as R
-    from linkwhy.operators.pairs import connectedness, random_pairs
+    from linkwhy.operators.grow import grow_enumerate
+    from linkwhy.operators.pairs import connectedness, random_pairs, sample_pairs
     from linkwhy.plans import engine
     from linkwhy.plans.runs import RunStats, settle
     from linkwhy.sources.kb import build_kb
@@ -54,7 +63,25 @@ def main() -> None:
     notes["commerce_instances"] = big.instances.count()
     timed("top10_monocount_commerce", lambda: force(engine.rank(kb, pairs, "monocount", 10, "frontier_topk")))
 
-    # Bands of connectedness by width of the window of events.
+    # Ten pairs of each band of connectedness, as far as the candidates have them.
+    banded = timed("pairs_by_band_commerce", lambda: settle(sample_pairs(kb, 10, 7, 4, 120, "customer", "customer")))
+    for band in ("low", "medium", "high"):
+        own = settle(banded.filter(F.col("band") == band).select("pair_id", "start", "end"))
+        notes[f"pairs_{band}"] = own.count()
+        if not notes[f"pairs_{band}"]:
+            continue
+        for combo in ("forward+exhaustive", "activation+lineage"):
+            stats = RunStats()
+            timed(f"{combo}_{band}", lambda c=combo, o=own, s=stats: engine.run_combo(kb, o, c, stats=s))
+            notes[f"work_{combo}_{band}"] = stats.counters
+    # Edge growth against paths and unions, at the size that growth can do.
+    few = settle(pairs.filter("pair_id <= 3"))
+    growth = RunStats()
+    timed("grow_n3_commerce_3_pairs", lambda: grow_enumerate(kb, few, 3, stats=growth))
+    timed("activation+lineage_n3_commerce_3_pairs", lambda: engine.enumerate_explanations(kb, few, 3))
+    notes["work_grow_n3"] = growth.counters
+
+    # Activity graphs by width of the window of events.
     act = build_kb(spark, sf_dir, "activity", ts_to="2024-01-03").pinned()
     some = settle(random_pairs(act, 30, 7))
     for combo in engine.COMBOS:
@@ -68,14 +95,15 @@ def main() -> None:
         n = engine.enumerate_explanations(g, some, 5).instances.count()
         points.append((n, round(time.time() - began, 2)))
     notes["instances_and_seconds"] = points
+    notes["seconds_per_1000_instances_and_r2"] = _line(points)
     stats = RunStats()
     timed("rank_full_monocount", lambda: force(R.rank_full(act, some, engine.enumerate_explanations(act, some, 5), "monocount", 10)))
-    for k in (1, 10, 100):
+    for k in (1, 5, 10, 20, 50, 100):
         s = RunStats()
         timed(f"frontier_top{k}_monocount", lambda k=k, s=s: force(engine.rank(act, some, "monocount", k, "frontier_topk", stats=s)))
         notes[f"frontier_top{k}_merges"] = s.counters.get("merges_tried")
     three = settle(some.filter("pair_id <= 3"))
-    small = engine.enumerate_explanations(act, three, 4)
+    small = engine.enumerate_explanations(act, three, 5)
     timed("local_position_full", lambda: force(R.rank_full(act, three, small, "local_position", 10)))
     timed("local_position_bounded", lambda: force(R.bounded_position(act, three, small, 10, stats=stats)))
     lazy = RunStats()
