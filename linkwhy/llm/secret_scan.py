@@ -8,9 +8,11 @@ import math
 import re
 from collections import deque
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from .common import settle_table
+
 #: The three base patterns (kind, pattern, group whose length counts, least length).
 BASE = (
     ("assign", re.compile(r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.I | re.A), 2, 8),
@@ -190,10 +192,20 @@ def guess_cost(value: str, words: tuple[str, ...] = ()) -> tuple[float, list[tup
 
 
 def ranked_words(docs: DataFrame, text_col: str = "text", most: int = CORPUS_WORDS) -> tuple[str, ...]:
-    """The most frequent words of 3 to 24 letters of a corpus, counted over all texts (ties by the word)."""
+    """The most frequent words of 3 to 24 letters of a corpus, counted over all texts (ties by the word).
+
+    Words from the least count on of which at most ``most`` have as many; only those come to the driver.
+    """
     word = F.explode(F.split(F.lower(F.col(text_col)), r"[^\p{L}]+"))
     counts = docs.select(word.alias("w")).filter(F.length("w").between(3, 24)).groupBy("w").agg(F.count(F.lit(1)).alias("n")).filter("n > 1")
-    return tuple(r["w"] for r in counts.orderBy(F.desc("n"), "w").limit(most).collect())
+    counts = settle_table(counts)
+    # different counts are few: they add up to no more than the tokens
+    upto = counts.groupBy("n").agg(F.count(F.lit(1)).alias("c")).withColumn("upto", F.sum("c").over(Window.orderBy(F.desc("n"))))
+    least = upto.filter(F.col("upto") <= most).agg(F.min("n")).first()[0]
+    if least is None:
+        return ()
+    rows = counts.filter(F.col("n") >= least).collect()
+    return tuple(r["w"] for r in sorted(rows, key=lambda r: (-r["n"], r["w"])))
 
 
 def base_spans(text: str) -> list[tuple[int, int, int]]:
