@@ -2,10 +2,10 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Observation
 from pyspark.sql import functions as F
 
-from .common import settle
+from .common import settle_table
 
 MOST_ROUNDS = 60
 #: A node with more than this share of all edge ends (and HOT_ENDS of them) has them dealt to as many places.
@@ -35,7 +35,7 @@ def connected_components(edges: DataFrame) -> DataFrame:
     longest path.  Only two counters, and the few nodes with a large share of all edges, come to the driver in a round; the edges of a round
     are written to the shared checkpoint folder, so a lost executor costs one round at most.
     """
-    now = settle(edges.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).filter("a <> b").distinct())
+    now = settle_table(edges.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).filter("a <> b").distinct())
     seen, hot = None, []
     for _ in range(MOST_ROUNDS):
         both = _both_ways(now)
@@ -43,13 +43,14 @@ def connected_components(edges: DataFrame) -> DataFrame:
         large = _at_node(both.filter("b > a"), least, hot).select(F.col("b").alias("a"), F.col("m").alias("b")).filter("a <> b").distinct()
         down = large.groupBy("a").agg(F.min("b").alias("m"))
         small = _at_node(large, down, hot).select(F.col("b").alias("a"), F.col("m").alias("b")).filter("a <> b")
-        now = settle(small.unionByName(down.select("a", F.col("m").alias("b"))).distinct())
-        mark = now.agg(F.count(F.lit(1)), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first()
-        if seen == tuple(mark):
+        mark = Observation()
+        now = settle_table(small.unionByName(down.select("a", F.col("m").alias("b"))).distinct().observe(mark, F.count(F.lit(1)).alias("n"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)")).alias("sum")))
+        n, total = mark.get["n"], mark.get["sum"]
+        if seen == (n, total):
             break
-        seen = tuple(mark)
-        if 2 * mark[0] * HOT_SHARE > HOT_ENDS:  # at most 2 / HOT_SHARE nodes
-            ends = _both_ways(now).groupBy("a").agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") > mark[0] * HOT_SHARE)
+        seen = (n, total)
+        if 2 * n * HOT_SHARE > HOT_ENDS:  # at most 2 / HOT_SHARE nodes
+            ends = _both_ways(now).groupBy("a").agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") > n * HOT_SHARE)
             hot = [r["a"] for r in ends.collect()]
     else:
         raise RuntimeError("components did not settle; the edges may change between reads")
