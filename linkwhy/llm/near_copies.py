@@ -11,7 +11,7 @@ from __future__ import annotations
 from dataclasses import dataclass
 
 import numpy as np
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import blocks, document_words, joined, join_unique, settle_table, tidy
@@ -116,7 +116,7 @@ def _sets(texts: DataFrame, rules: Rules) -> DataFrame:
 
 def _with_sets(pairs: DataFrame, sets: DataFrame, side: str, other: str, name: str) -> DataFrame:
     """The pairs with the set of one side; only sets of more than ``SHARE`` pairs are sent to several places."""
-    parts = settle_table(pairs.groupBy(side).agg((F.floor(F.count(F.lit(1)) / SHARE) + 1).cast("int").alias("parts")))
+    parts = pairs.groupBy(side).agg((F.floor(F.count(F.lit(1)) / SHARE) + 1).cast("int").alias("parts"))
     many = sets.select(F.col("fp").alias(side), F.col("shingles").alias(name)).join(parts, side)
     many = many.withColumn("__part", F.explode(F.sequence(F.lit(0), F.col("parts") - 1))).drop("parts")
     own = join_unique(pairs, parts, [side], [other]).withColumn("__part", F.pmod(F.xxhash64(other), F.col("parts")).cast("int")).drop("parts")
@@ -140,20 +140,26 @@ def _by_masks(nodes: DataFrame, rules: Rules) -> DataFrame:
     return same.unionByName(near.select(F.col("x").alias("a"), F.col("y").alias("b")))
 
 
-def _roots(members: DataFrame, edges: DataFrame) -> DataFrame:
+def _open(members: DataFrame, found: DataFrame) -> DataFrame:
     """The members of those buckets that hold several components: (key, fp, score, root)."""
-    found = connected_components(edges)
-    placed = settle_table(members.join(found, members["fp"] == found["node"], "left").select("key", "fp", "score", F.coalesce("root", "fp").alias("root")))
+    placed = members.join(found, members["fp"] == found["node"], "left").select("key", "fp", "score", F.coalesce("root", "fp").alias("root"))
     parted = placed.groupBy("key").agg(F.min("root").alias("r"), F.max("root").alias("s")).filter("r <> s").select("key")
     return settle_table(join_unique(placed, parted, ["key"], ["fp"]))
 
 
+def _grown(found: DataFrame | None, edges: DataFrame) -> DataFrame:
+    """Components (node, root) of those found so far and more edges; what was found goes in as stars."""
+    if found is not None:
+        edges = edges.unionByName(found.select(F.col("node").alias("a"), F.col("root").alias("b")))
+    return connected_components(edges)
+
+
 def _centres(open_: DataFrame) -> DataFrame:
     """One candidate (a, b) for each node: the best-connected node of another component that it shares a bucket with."""
     heads = open_.groupBy("key", "root").agg(F.max(F.struct("score", "fp")).alias("head"))
     first = heads.groupBy("key").agg(F.max(F.struct("head", "root")).alias("f"))
     second = heads.join(first, "key").filter(F.col("root") != F.col("f.root")).groupBy("key").agg(F.max("head").alias("s"))
-    tops = settle_table(first.join(second, "key").select("key", "f", "s"))
+    tops = first.join(second, "key").select("key", "f", "s")
     met = join_unique(open_, tops, ["key"], ["fp"])
     centre = F.when(F.col("f.root") != F.col("root"), F.col("f.head")).otherwise(F.col("s"))
     return met.groupBy("fp").agg(F.max(centre).alias("c")).select(F.col("fp").alias("a"), F.col("c.fp").alias("b"))
@@ -202,21 +208,21 @@ def one_of_each(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
 
     keyed = nodes.select("fp", F.explode("bands").alias("key"))
     sizes = keyed.groupBy("key").agg(F.count(F.lit(1)).alias("n")).filter("n > 1")
-    members = settle_table(join_unique(keyed, sizes, ["key"], ["fp"]))
-    scores = members.groupBy("fp").agg(F.sum("n").alias("score"))
-    members = settle_table(members.drop("n").join(scores, "fp"))
+    score = F.sum("n").over(Window.partitionBy("fp"))  # a row a band at most
+    members = settle_table(join_unique(keyed, sizes, ["key"], ["fp"]).select("key", "fp", score.alias("score")))
 
     wanted = members.select("fp").unionByName(masked.select(F.explode(F.array("a", "b")).alias("fp"))).distinct()
     wanted = wanted.join(nodes, "fp").select("fp", F.col("k.id").alias("__id"), F.col("k.th").alias("__th"))
     texts = base.join(wanted, base["id"].eqNullSafe(wanted["__id"]) & (base["th"] == wanted["__th"])).select("fp", "text")
     sets = settle_table(_sets(texts, rules).dropDuplicates(["fp"]))
 
-    edges = _similar(masked.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(), sets, rules)
     open_ = members.withColumn("root", F.col("fp"))
-    for _ in range(rules.stars):
-        edges = edges.unionByName(_similar(settle_table(_centres(open_)), sets, rules))
-        open_ = _roots(members, edges)
-    roots = connected_components(edges.unionByName(_similar(settle_table(_by_prefix(open_, sets, rules)), sets, rules)))
+    close, found = masked.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")), None
+    for turn in range(rules.stars):
+        near = _centres(open_) if turn else _centres(open_).unionByName(close)
+        found = _grown(found, _similar(settle_table(near.distinct()), sets, rules))
+        open_ = _open(members, found)
+    roots = _grown(found, _similar(settle_table(_by_prefix(open_, sets, rules)), sets, rules))
 
     named = nodes.join(roots, nodes["fp"] == roots["node"], "left").select(F.coalesce("root", "fp").alias("root"), "k")
     kept = named.groupBy("root").agg(F.min("k").alias("k")).select(F.col("k.id").alias("__id"), F.col("k.th").alias("__th"))
