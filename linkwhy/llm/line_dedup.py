@@ -81,13 +81,20 @@ def _records(docs: DataFrame, id_col: str, text_col: str, rules: Rules) -> DataF
     The number of tokens, the leaf and the template are found on the string; no record is
     cut into tokens here.
     """
-    own = F.octet_length(text_col) - F.octet_length(F.translate(text_col, " \n", "")) + 1
-    lists = docs.select(F.col(id_col).alias("id"), F.xxhash64(text_col).alias("th"), own.alias("own"), record_list(F.col(text_col)).alias("records"))
-    each = lists.select("id", "th", "own", F.posexplode("records").alias("i", "record"))
-    each = each.filter(F.octet_length("record") > 2 * rules.min_line_tokens)
-    each = each.select("id", "th", "own", "i", F.col("record").endswith("\n").alias("line"), F.rtrim(masked(F.col("record")), F.lit(" \n")).alias("shape"))
-    n = F.octet_length("shape") - F.octet_length(F.replace("shape", F.lit(" "), F.lit(""))) + 1
-    each = each.withColumn("n", n).filter((F.col("n") >= rules.min_tokens) | (F.col("line") & (F.col("n") >= rules.min_line_tokens)))
+    own = F.octet_length(text_col) - F.octet_length(F.replace(F.replace(F.col(text_col), F.lit(" "), F.lit("")), F.lit("\n"), F.lit(""))) + 1
+    texts = docs.select(F.col(id_col).alias("id"), F.xxhash64(text_col).alias("th"), own.alias("own"), F.col(text_col).alias("text"))
+
+    def shaped(record: Column) -> Column:
+        shape = F.when(F.octet_length(record) > 2 * rules.min_line_tokens, F.rtrim(masked(record), F.lit(" \n")))
+        return F.struct(record.endswith("\n").alias("line"), shape.alias("shape"))
+
+    def counted(r: Column) -> Column:
+        n = F.octet_length(r["shape"]) - F.octet_length(F.replace(r["shape"], F.lit(" "), F.lit(""))) + 1
+        return F.struct(r["line"].alias("line"), r["shape"].alias("shape"), n.alias("n"))
+
+    # Inside the generator each record is masked once; as columns above it, the filter on n would mask it again for each use.
+    each = texts.select("id", "th", "own", F.posexplode(F.transform(F.transform(record_list(F.col("text")), shaped), counted)).alias("i", "r"))
+    each = each.select("id", "th", "own", "i", "r.line", "r.n", "r.shape").filter((F.col("n") >= rules.min_tokens) | (F.col("line") & (F.col("n") >= rules.min_line_tokens)))
     return each.select("id", "th", "own", "i", "line", "n", F.xxhash64("n", F.substring_index("shape", " ", rules.depth)).alias("leaf"), F.xxhash64("shape").alias("tpl"), "shape")
 
 
@@ -177,7 +184,7 @@ def drop_recurring(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     Rows repeated with one id and text lose the same records; copies of a text count as one
     document.  An empty table gives no rows.  Records are cut by pattern, so a long line or
     text is only a longer row.  Templates and texts are compared by 64-bit hashes: a
-    collision can make two records look repeated, which drops nothing unless their neighbours repeat too.
+    collision would count different records as one template.
     """
     gone = recurring(docs, id_col, text_col, rules).select(F.col("id").alias("__id"), F.col("th").alias("__th"), F.col("flags").alias("__flags"))
     base = docs.select("*", F.xxhash64(text_col).alias("__h"))
