@@ -7,6 +7,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
+from ..plans.runs import delete_later, shared_dir
 from ..sources.kb import eid
 
 
@@ -57,10 +58,25 @@ def co_occurrence(events: DataFrame) -> DataFrame:
 
 
 def drain(df: DataFrame, name: str, mode: str = "append") -> DataFrame:
-    """Run a stream over what is there into a memory table and return that (tests and reports)."""
-    query = df.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).start()
+    """Run a stream over what is there and return its rows (tests and reports).
+
+    Rows of an append or update go to the shared folder, a folder a batch, so the driver holds none; an update gives all
+    states of a key, as a memory table does.  A complete result is written anew by each batch, and the last one counts.
+    """
+    spark = df.sparkSession
+    place = shared_dir(spark)
+
+    def batch(rows: DataFrame, number: int) -> None:
+        rows.write.mode("overwrite").parquet(f"{place}/rows/batch={number:09d}")
+
+    query = df.writeStream.queryName(name).option("checkpointLocation", f"{place}/state").outputMode(mode).trigger(availableNow=True).foreachBatch(batch).start()
     query.awaitTermination()
-    return df.sparkSession.table(name)
+    delete_later(spark, place)
+    own = spark.read.schema(df.schema.add("batch", "long")).parquet(f"{place}/rows") if query.lastProgress else spark.createDataFrame([], df.schema.add("batch", "long"))
+    if mode == "complete":
+        last = own.agg(F.max("batch")).first()[0]
+        own = own.filter(F.col("batch") == last)
+    return own.drop("batch")
 
 
 def explain_requests(requests: DataFrame, answer, sink: str):
